@@ -3,11 +3,15 @@
 from __future__ import annotations
 
 from taskmesh.llm.mixing import op9_mixing
+from taskmesh.llm.pii import op10_pii
+from taskmesh.llm.toxicity import op2_toxicity
 
 
 def queries() -> dict:
     return {
+        "op2_toxicity": op2_toxicity,
         "op9_mixing": op9_mixing,
+        "op10_pii": op10_pii,
     }
 
 

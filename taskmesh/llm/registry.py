@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+from taskmesh.llm.minhash import op1_minhash
 from taskmesh.llm.mixing import op9_mixing
 from taskmesh.llm.pii import op10_pii
 from taskmesh.llm.toxicity import op2_toxicity
@@ -9,6 +10,7 @@ from taskmesh.llm.toxicity import op2_toxicity
 
 def queries() -> dict:
     return {
+        "op1_minhash": op1_minhash,
         "op2_toxicity": op2_toxicity,
         "op9_mixing": op9_mixing,
         "op10_pii": op10_pii,

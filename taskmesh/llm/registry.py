@@ -4,7 +4,9 @@ from __future__ import annotations
 
 from taskmesh.llm.minhash import op1_minhash
 from taskmesh.llm.mixing import op9_mixing
+from taskmesh.llm.packing import op6_packing
 from taskmesh.llm.pii import op10_pii
+from taskmesh.llm.sstable import op4_sstable
 from taskmesh.llm.toxicity import op2_toxicity
 
 
@@ -12,6 +14,8 @@ def queries() -> dict:
     return {
         "op1_minhash": op1_minhash,
         "op2_toxicity": op2_toxicity,
+        "op4_sstable": op4_sstable,
+        "op6_packing": op6_packing,
         "op9_mixing": op9_mixing,
         "op10_pii": op10_pii,
     }

@@ -8,6 +8,7 @@ from taskmesh.llm.packing import op6_packing
 from taskmesh.llm.pii import op10_pii
 from taskmesh.llm.sstable import op4_sstable
 from taskmesh.llm.toxicity import op2_toxicity
+from taskmesh.llm.vector_dedup import op7_vector_dedup
 
 
 def queries() -> dict:
@@ -16,6 +17,7 @@ def queries() -> dict:
         "op2_toxicity": op2_toxicity,
         "op4_sstable": op4_sstable,
         "op6_packing": op6_packing,
+        "op7_vector_dedup": op7_vector_dedup,
         "op9_mixing": op9_mixing,
         "op10_pii": op10_pii,
     }

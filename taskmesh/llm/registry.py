@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from taskmesh.llm.minhash import op1_minhash
 from taskmesh.llm.mixing import op9_mixing
+from taskmesh.llm.multi_index import op3_multi_index
 from taskmesh.llm.packing import op6_packing
 from taskmesh.llm.pii import op10_pii
 from taskmesh.llm.sstable import op4_sstable
@@ -15,6 +16,7 @@ def queries() -> dict:
     return {
         "op1_minhash": op1_minhash,
         "op2_toxicity": op2_toxicity,
+        "op3_multi_index": op3_multi_index,
         "op4_sstable": op4_sstable,
         "op6_packing": op6_packing,
         "op7_vector_dedup": op7_vector_dedup,

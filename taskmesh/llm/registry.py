@@ -10,6 +10,7 @@ from taskmesh.llm.pii import op10_pii
 from taskmesh.llm.sstable import op4_sstable
 from taskmesh.llm.toxicity import op2_toxicity
 from taskmesh.llm.vector_dedup import op7_vector_dedup
+from taskmesh.llm.viterbi import op8_viterbi
 
 
 def queries() -> dict:
@@ -20,6 +21,7 @@ def queries() -> dict:
         "op4_sstable": op4_sstable,
         "op6_packing": op6_packing,
         "op7_vector_dedup": op7_vector_dedup,
+        "op8_viterbi": op8_viterbi,
         "op9_mixing": op9_mixing,
         "op10_pii": op10_pii,
     }

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+from taskmesh.llm.context_mixing import op5_context_mixing
 from taskmesh.llm.minhash import op1_minhash
 from taskmesh.llm.mixing import op9_mixing
 from taskmesh.llm.multi_index import op3_multi_index
@@ -19,6 +20,7 @@ def queries() -> dict:
         "op2_toxicity": op2_toxicity,
         "op3_multi_index": op3_multi_index,
         "op4_sstable": op4_sstable,
+        "op5_context_mixing": op5_context_mixing,
         "op6_packing": op6_packing,
         "op7_vector_dedup": op7_vector_dedup,
         "op8_viterbi": op8_viterbi,

@@ -4,26 +4,33 @@ Both vocabularies treat a text piece by piece, and a piece's ids do not depend o
 right places, so pieces are looked up and only new ones go through the tokenizers library:
 
 * byte-level vocabulary: its pattern starts a new piece at a single space between two characters that are not white space.
-  Texts in which a space touches other white space are encoded whole, by the library itself.
+  Texts in which a space touches other white space, or an end of the text, are encoded whole, by the library itself.
 * vocabulary with word ends: white space is dropped, so ASCII white space always separates pieces.
 
+New pieces that are a word of Latin letters, perhaps with punctuation behind it, are one word for both patterns, so they go
+straight to the library's model, as its byte alphabet spells them; all others go through the library's whole encoding.
 Strings of special tokens in a text are ordinary text.
 """
 
 from __future__ import annotations
 
 import re
+from array import array
 
 import numpy as np
 import public_tokenizers
 from tokenizers import Tokenizer
 
-#: Pieces that a worker remembers; others are encoded each time. It bounds memory and changes no result.
-CACHE_ENTRIES = 300_000
-LONGEST_CACHED = 64
+#: Pieces in each of the two generations of the cache; a full one takes the place of the older. They bound memory only.
+CACHE_ENTRIES = 400_000
+#: Texts of so many bytes are split into pieces at once.
+GROUP_BYTES = 4 << 20
+
+_WORD = re.compile("([A-Za-zÀ-ÖØ-öø-ÿ]+)([.,;:!?]*)")
+_PLAIN = [*range(33, 127), *range(161, 173), *range(174, 256)]
+#: The byte alphabet of both vocabularies: printable bytes stand for themselves, the others follow from 256 on, in order.
+_ALPHABET = {b: b for b in _PLAIN} | {b: 256 + k for k, b in enumerate(b for b in range(256) if b not in _PLAIN)}
 
-_SPACE_BY_SPACE = re.compile(rb" [ \t-\r\x1c-\x1f]|[ \t-\r\x1c-\x1f] |(?: |[\t-\r\x1c-\x1f])\xc2[\x85\xa0]|\xc2[\x85\xa0] |[\xe1-\xe3]")
-_WIDE_SPACE = re.compile("[\u1680\u2000-\u200a\u2028\u2029\u202f\u205f\u3000]")
 _encoders: dict[tuple[str, bool], Encoder] = {}
 
 
@@ -34,46 +41,89 @@ class Encoder:
         self.tokenizer = Tokenizer.from_file(path)
         self.tokenizer.encode_special_tokens = True
         self.drops_space = drops_space
-        self.known: dict[bytes, bytes] = {}
+        self.ends: dict[str, bytes] = {"": b""}
+        #: Pieces (of the byte-level vocabulary: as they are after a space) and their ids; None for a piece that tells a
+        #: text that must be encoded whole.
+        self.known: dict[bytes, bytes | None] = {}
+        self.older: dict[bytes, bytes | None] = {}
 
     def _ids(self, texts: list[str]) -> list[bytes]:
         return [np.array(e.ids, "<u4").tobytes() for e in self.tokenizer.encode_batch(texts, add_special_tokens=False)]
 
-    def _pieces(self, text: bytes) -> list[bytes] | None:
-        if self.drops_space:
-            return text.split()
-        if _SPACE_BY_SPACE.search(text) and self._space_by_space(text):
-            return None
-        first, *rest = text.split(b" ")
-        return [first, *[b" " + p for p in rest]] if first else [b" " + p for p in rest]
-
-    @staticmethod
-    def _space_by_space(text: bytes) -> bool:
-        """Whether a space may touch other white space; bytes that can begin wide white space were seen, or a touch itself."""
-        whole = text.decode()
-        return bool(_WIDE_SPACE.search(whole) or re.search(r" \s|\s ", whole))
+    def _end(self, punctuation: str) -> bytes:
+        if punctuation not in self.ends:
+            if len(self.ends) > 1000:
+                self.ends = {"": b""}
+            (self.ends[punctuation],) = self._ids([punctuation])
+        return self.ends[punctuation]
+
+    def _encode_pieces(self, pieces: list[bytes]) -> None:
+        drops_space, known, tokenize = self.drops_space, self.known, self.tokenizer.model.tokenize
+        odd = []
+        for piece in pieces:
+            text = piece.decode()
+            if m := _WORD.fullmatch(text):
+                word, end = m.groups()
+                word = word.lower() if drops_space else f" {word}"
+                ids = array("I", [t.id for t in tokenize(word.encode().decode("latin-1").translate(_ALPHABET))])
+                known[piece] = ids.tobytes() + self._end(end) if end else ids.tobytes()
+            elif not drops_space and (not text or text[0].isspace() or text[-1].isspace()):
+                known[piece] = None
+            else:
+                odd.append(piece)
+        lead = "" if drops_space else " "
+        known.update(zip(odd, self._ids([lead + p.decode() for p in odd]), strict=True))
+
+    def _learn(self, pieces: set[bytes]) -> None:
+        """Afterwards ``known`` holds all of these."""
+        if len(self.known) > CACHE_ENTRIES:
+            self.older, self.known = self.known, {}
+        new = []
+        for piece in pieces.difference(self.known):
+            if piece in self.older:
+                self.known[piece] = self.older[piece]
+            else:
+                new.append(piece)
+        self._encode_pieces(new)
 
     def encode(self, texts: list[bytes]) -> list[bytes]:
-        """texts: UTF-8."""
-        split = [self._pieces(t) for t in texts]
-        whole = [i for i, p in enumerate(split) if p is None]
-        new = list(set().union(*[p for p in split if p is not None]) - self.known.keys())
-        found = dict(zip(new, self._ids([p.decode() for p in new]), strict=True))
-        for piece, ids in found.items():
-            if len(self.known) >= CACHE_ENTRIES:
-                break
-            if len(piece) <= LONGEST_CACHED:
-                self.known[piece] = ids
-        known = self.known
-        direct = dict(zip(whole, self._ids([texts[i].decode() for i in whole]), strict=True))
+        """texts: UTF-8. They are taken some at a time, since their pieces need far more memory than they do."""
+        out: list[bytes] = []
+        group: list[bytes] = []
+        size = 0
+        for text in texts:
+            group.append(text)
+            size += len(text)
+            if size >= GROUP_BYTES:
+                out += self._encode(group)
+                group, size = [], 0
+        return out + self._encode(group)
+
+    def _encode(self, texts: list[bytes]) -> list[bytes]:
+        if self.drops_space:
+            split = [t.split() for t in texts]
+            self._learn(set().union(*split))
+            look = self.known.__getitem__
+            return [b"".join(map(look, pieces)) for pieces in split]
+        split = [t.split(b" ") for t in texts]
+        heads = self._ids([pieces.pop(0).decode() for pieces in split])
+        self._learn(set().union(*split))
+        look = self.known.__getitem__
         out = []
-        for i, pieces in enumerate(split):
-            if pieces is None:
-                out.append(direct[i])
+        for text, head, pieces in zip(texts, heads, split, strict=True):
+            ids = [*map(look, pieces)]
+            if None in ids or (pieces and (text[:1] == b" " or self._open(text, pieces))):
+                out += self._ids([text.decode()])
             else:
-                out.append(b"".join([known[p] if p in known else found[p] for p in pieces]))
+                out.append(head + b"".join(ids))
         return out
 
+    @staticmethod
+    def _open(text: bytes, pieces: list[bytes]) -> bool:
+        """Whether the first piece of the text ends with white space, which would touch the first space."""
+        first = text[: text.index(b" ")].decode()
+        return first[-1:].isspace()
+
 
 def encoder(name: str, drops_space: bool) -> Encoder:
     """name: a file of the public tokenizers, or a path. One per worker process, kept between tasks."""

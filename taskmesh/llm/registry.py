@@ -29,5 +29,31 @@ def queries() -> dict:
     }
 
 
+#: All pairs that share a shingle, on whole texts; components by recursion.
+MINHASH_SQL = r"""
+WITH RECURSIVE words AS (
+  SELECT doc_id, list_filter(string_split_regex(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[\x20\x09-\x0D]+'), lambda w: w <> '') AS w FROM documents),
+own AS (
+  SELECT doc_id, CASE WHEN len(w) = 0 THEN [] WHEN len(w) < 3 THEN [array_to_string(w, ' ')]
+    ELSE list_sort(list_distinct(list_transform(range(1, len(w) - 1), lambda i: concat(w[i], ' ', w[i + 1], ' ', w[i + 2])))) END AS s FROM words),
+shingles AS (SELECT doc_id, len(s) AS n, unnest(s) AS s FROM own),
+links AS (
+  SELECT a, b FROM (SELECT x.doc_id AS a, y.doc_id AS b, any_value(x.n) AS na, any_value(y.n) AS nb, count(*) AS c FROM shingles x JOIN shingles y ON x.s = y.s AND x.doc_id <> y.doc_id GROUP BY 1, 2)
+  WHERE 100 * c >= 85 * (na + nb - c)),
+reach AS (SELECT doc_id AS node, doc_id AS seen FROM own UNION SELECT l.b, r.seen FROM reach r JOIN links l ON l.a = r.node),
+found AS (SELECT node, min(seen) AS component_id FROM reach GROUP BY node)
+SELECT o.doc_id, len(s)::BIGINT AS n_shingles, component_id, o.doc_id = component_id AS kept, CASE WHEN len(s) = 0 THEN o.doc_id ELSE min(o.doc_id) OVER (PARTITION BY s) END AS class_id
+FROM own o JOIN found f ON o.doc_id = f.node"""
+
+#: All pairs of vectors, in double precision; components by recursion.
+VECTOR_DEDUP_SQL = """
+WITH RECURSIVE v AS (
+  SELECT vec_id, list_transform(embedding, lambda x: x::DOUBLE) AS e FROM embeddings WHERE embedding IS NOT NULL AND len(list_filter(embedding, lambda x: x IS NULL OR NOT isfinite(x))) = 0),
+unit AS (SELECT vec_id, e, sqrt(list_dot_product(e, e)) AS n FROM v WHERE list_dot_product(e, e) > 0),
+links AS (SELECT a.vec_id AS a, b.vec_id AS b FROM unit a JOIN unit b ON a.vec_id <> b.vec_id WHERE list_dot_product(a.e, b.e) / (a.n * b.n) >= 0.95),
+reach AS (SELECT vec_id AS node, vec_id AS seen FROM embeddings UNION SELECT l.b, r.seen FROM reach r JOIN links l ON l.a = r.node)
+SELECT node AS vec_id, (SELECT count(*) FROM links WHERE a = node) AS n_links, min(seen) AS component_id, node = min(seen) AS kept FROM reach GROUP BY node"""
+
+
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {"op1_minhash": MINHASH_SQL, "op7_vector_dedup": VECTOR_DEDUP_SQL}

@@ -73,7 +73,7 @@ class ToxicityModel:
 
 def _csr(docs: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
     starts = np.zeros(len(docs) + 1, np.int64)
-    np.cumsum([len(d) for d in docs], out=starts[1:])
+    np.cumsum(np.array([len(d) for d in docs], np.int64), out=starts[1:])
     return (np.concatenate(docs) if docs else np.zeros(0, np.int64)), starts
 
 
@@ -98,8 +98,10 @@ def train_nnpu(
     weight = np.zeros(size)
     if not positive or not unlabelled:
         return ToxicityModel(weight, 1.0, -40.0, prior)
-    seen_p = np.bincount(np.concatenate(positive), minlength=size)
-    seen_u = np.bincount(np.concatenate(unlabelled), minlength=size)
+    seen_p, seen_u = np.zeros(size, np.int32), np.zeros(size, np.int32)
+    for seen, own in ((seen_p, positive), (seen_u, unlabelled)):
+        for d in own:
+            seen[d] += 1  # a document's buckets are distinct
     # The share of toxic documents among those with a feature is prior * p_rate / u_rate. A feature is weighed if that is
     # at least ``purity`` and positives hold it more often than chance allows; others stay at 0.
     p_rate, u_rate = (seen_p + 1e-9) / len(positive), (seen_u + 0.5) / (len(unlabelled) + 1)
@@ -107,7 +109,7 @@ def train_nnpu(
     surprise = 2 * (seen_p * np.log((seen_p + 1e-9) / expected) - (seen_p - expected))
     sure = (seen_p > expected) & (surprise >= least_surprise) & (prior * p_rate >= purity * u_rate)
     chosen = np.flatnonzero(sure)
-    place = np.full(size, -1)
+    place = np.full(size, -1, np.int32)
     place[chosen] = np.arange(len(chosen))
     positive, unlabelled = ([p[p >= 0] for p in (place[d] for d in docs)] for docs in (positive, unlabelled))
     everything, size = weight, max(1, len(chosen))
@@ -166,11 +168,14 @@ def fit(docs: DataFrame, labels: DataFrame, max_positive: int = 4000, max_unlabe
     picked = [(r.doc_id, True) for r in positive_ids.collect()] + [(r.doc_id, False) for r in unlabelled_ids.collect()]
     chosen = spark.createDataFrame(picked, "_id long, positive boolean")
     sample = docs.select("doc_id", "text").join(F.broadcast(chosen), F.col("doc_id") == F.col("_id")).select("positive", "text")
-    rows = sample.mapInArrow(_features, "positive boolean, features binary").collect()
+    rows = sample.mapInArrow(_features, "positive boolean, features binary")
     sets: dict[bool, list[np.ndarray]] = {True: [], False: []}
-    for r in sorted(rows, key=lambda r: (r.positive, bytes(r.features))):
-        sets[r.positive].append(np.frombuffer(bytes(r.features), np.int32).astype(np.int64))
-    return train_nnpu([d for d in sets[True] if len(d)], [d for d in sets[False] if len(d)], prior, seed=seed)
+    for r in rows.toLocalIterator():  # a partition at a time, and as numbers at once: the sample is the driver's largest load
+        if len(r.features):
+            sets[r.positive].append(np.frombuffer(r.features, np.int32))
+    for docs_of in sets.values():
+        docs_of.sort(key=lambda d: d.tobytes())
+    return train_nnpu(sets[True], sets[False], prior, seed=seed)
 
 
 def score(docs: DataFrame, model: ToxicityModel, column: str = "score") -> DataFrame:

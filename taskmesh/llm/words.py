@@ -11,7 +11,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 #: Entries after which a worker's cache of words starts anew; it bounds memory and changes no result.
-CACHE_ENTRIES = 400_000
+CACHE_ENTRIES = 200_000
 
 
 def text_bytes(batch: pa.RecordBatch, name: str | int = "text") -> list[bytes]:

@@ -23,17 +23,55 @@ from tokenizers import Tokenizer
 
 #: Pieces in each of the two generations of the cache; a full one takes the place of the older. They bound memory only.
 CACHE_ENTRIES = 400_000
-#: Texts of so many bytes are split into pieces at once.
-GROUP_BYTES = 4 << 20
 
+_ASCII_WORD = re.compile(rb"([A-Za-z]+)([.,;:!?]*)")
 _WORD = re.compile("([A-Za-zÀ-ÖØ-öø-ÿ]+)([.,;:!?]*)")
+#: White space of more than one byte, and the control characters that some count as such.
+_LATE_SPACE = {c.encode() for c in "\x85\xa0\u1680\u2028\u2029\u202f\u205f\u3000" + "".join(map(chr, range(0x2000, 0x200B)))}
+_SPACE = frozenset(b" \t\n\r\x0b\x0c\x1c\x1d\x1e\x1f")
 _PLAIN = [*range(33, 127), *range(161, 173), *range(174, 256)]
 #: The byte alphabet of both vocabularies: printable bytes stand for themselves, the others follow from 256 on, in order.
 _ALPHABET = {b: b for b in _PLAIN} | {b: 256 + k for k, b in enumerate(b for b in range(256) if b not in _PLAIN)}
 
+_SPACE_SIGN = chr(_ALPHABET[32])
 _encoders: dict[tuple[str, bool], Encoder] = {}
 
 
+class Pieces(dict):
+    """ids of pieces, by the tokenizer's own rules; new ones are encoded as they are asked for. None for a piece that tells a
+    text that must be encoded whole. Pieces of the byte-level vocabulary are as they stand after a space."""
+
+    def __init__(self, owner: Encoder, older: dict[bytes, bytes | None]) -> None:
+        super().__init__()
+        self.owner, self.older, self.tokenize = owner, older, owner.tokenizer.model.tokenize
+
+    def __missing__(self, piece: bytes) -> bytes | None:
+        found = self.older.get(piece)
+        if found is None:
+            if m := _ASCII_WORD.fullmatch(piece):  # letters that the byte alphabet spells as themselves
+                word, end = m.groups()
+                if end:
+                    found = self[word] + self.owner.end(end.decode())
+                else:
+                    text = piece.decode()
+                    found = array("I", [t.id for t in self.tokenize(text.lower() if self.owner.drops_space else f"{_SPACE_SIGN}{text}")]).tobytes()
+            elif m := _WORD.fullmatch(text := piece.decode()):
+                word, end = m.groups()
+                if end:
+                    found = self[word.encode()] + self.owner.end(end)
+                else:
+                    found = self.owner.word(word.lower() if self.owner.drops_space else f" {word}")
+            else:
+                found = self._other(text)
+        self[piece] = found
+        return found
+
+    def _other(self, text: str) -> bytes | None:
+        if self.owner.drops_space:
+            return self.owner.whole([text])[0]
+        return None if not text or text[0].isspace() or text[-1].isspace() else self.owner.whole([f" {text}"])[0]
+
+
 class Encoder:
     """ids of texts, as little-endian unsigned 32-bit bytes."""
 
@@ -41,88 +79,52 @@ class Encoder:
         self.tokenizer = Tokenizer.from_file(path)
         self.tokenizer.encode_special_tokens = True
         self.drops_space = drops_space
-        self.ends: dict[str, bytes] = {"": b""}
-        #: Pieces (of the byte-level vocabulary: as they are after a space) and their ids; None for a piece that tells a
-        #: text that must be encoded whole.
-        self.known: dict[bytes, bytes | None] = {}
-        self.older: dict[bytes, bytes | None] = {}
+        self.ends: dict[str, bytes] = {}
+        self.pieces = Pieces(self, {})
 
-    def _ids(self, texts: list[str]) -> list[bytes]:
+    def whole(self, texts: list[str]) -> list[bytes]:
+        """By the library, without the cache."""
         return [np.array(e.ids, "<u4").tobytes() for e in self.tokenizer.encode_batch(texts, add_special_tokens=False)]
 
-    def _end(self, punctuation: str) -> bytes:
+    def word(self, word: str) -> bytes:
+        """Letters, perhaps after a space: one word for the patterns."""
+        return array("I", [t.id for t in self.pieces.tokenize(word.encode().decode("latin-1").translate(_ALPHABET))]).tobytes()
+
+    def end(self, punctuation: str) -> bytes:
         if punctuation not in self.ends:
             if len(self.ends) > 1000:
-                self.ends = {"": b""}
-            (self.ends[punctuation],) = self._ids([punctuation])
+                self.ends.clear()
+            (self.ends[punctuation],) = self.whole([punctuation])
         return self.ends[punctuation]
 
-    def _encode_pieces(self, pieces: list[bytes]) -> None:
-        drops_space, known, tokenize = self.drops_space, self.known, self.tokenizer.model.tokenize
-        odd = []
-        for piece in pieces:
-            text = piece.decode()
-            if m := _WORD.fullmatch(text):
-                word, end = m.groups()
-                word = word.lower() if drops_space else f" {word}"
-                ids = array("I", [t.id for t in tokenize(word.encode().decode("latin-1").translate(_ALPHABET))])
-                known[piece] = ids.tobytes() + self._end(end) if end else ids.tobytes()
-            elif not drops_space and (not text or text[0].isspace() or text[-1].isspace()):
-                known[piece] = None
-            else:
-                odd.append(piece)
-        lead = "" if drops_space else " "
-        known.update(zip(odd, self._ids([lead + p.decode() for p in odd]), strict=True))
-
-    def _learn(self, pieces: set[bytes]) -> None:
-        """Afterwards ``known`` holds all of these."""
-        if len(self.known) > CACHE_ENTRIES:
-            self.older, self.known = self.known, {}
-        new = []
-        for piece in pieces.difference(self.known):
-            if piece in self.older:
-                self.known[piece] = self.older[piece]
-            else:
-                new.append(piece)
-        self._encode_pieces(new)
-
     def encode(self, texts: list[bytes]) -> list[bytes]:
-        """texts: UTF-8. They are taken some at a time, since their pieces need far more memory than they do."""
-        out: list[bytes] = []
-        group: list[bytes] = []
-        size = 0
-        for text in texts:
-            group.append(text)
-            size += len(text)
-            if size >= GROUP_BYTES:
-                out += self._encode(group)
-                group, size = [], 0
-        return out + self._encode(group)
-
-    def _encode(self, texts: list[bytes]) -> list[bytes]:
-        if self.drops_space:
-            split = [t.split() for t in texts]
-            self._learn(set().union(*split))
-            look = self.known.__getitem__
-            return [b"".join(map(look, pieces)) for pieces in split]
-        split = [t.split(b" ") for t in texts]
-        heads = self._ids([pieces.pop(0).decode() for pieces in split])
-        self._learn(set().union(*split))
-        look = self.known.__getitem__
+        """texts: UTF-8. They are split one at a time, since a text's pieces need far more memory than it does."""
         out = []
-        for text, head, pieces in zip(texts, heads, split, strict=True):
-            ids = [*map(look, pieces)]
-            if None in ids or (pieces and (text[:1] == b" " or self._open(text, pieces))):
-                out += self._ids([text.decode()])
-            else:
-                out.append(head + b"".join(ids))
+        for text in texts:
+            if len(self.pieces) > CACHE_ENTRIES:
+                self.pieces.older = {}
+                self.pieces = Pieces(self, dict(self.pieces))
+            out.append(self._encode(text))
         return out
 
-    @staticmethod
-    def _open(text: bytes, pieces: list[bytes]) -> bool:
-        """Whether the first piece of the text ends with white space, which would touch the first space."""
-        first = text[: text.index(b" ")].decode()
-        return first[-1:].isspace()
+    def _encode(self, text: bytes) -> bytes:
+        if self.drops_space:
+            return b"".join(map(self.pieces.__getitem__, text.split()))
+        head, *rest = text.split(b" ")
+        if rest and (not head or head[-1] in _SPACE or head[-2:] in _LATE_SPACE or head[-3:] in _LATE_SPACE):
+            return self.whole([text.decode()])[0]
+        try:
+            tail = b"".join(map(self.pieces.__getitem__, rest))
+        except TypeError:  # a piece is None
+            return self.whole([text.decode()])[0]
+        return self._head(head.decode()) + tail
+
+    def _head(self, text: str) -> bytes:
+        """A text's first piece, which no space precedes."""
+        if m := _WORD.fullmatch(text):
+            word, end = m.groups()
+            return self.word(word) + self.end(end) if end else self.word(word)
+        return self.whole([text])[0]
 
 
 def encoder(name: str, drops_space: bool) -> Encoder:

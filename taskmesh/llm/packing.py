@@ -31,7 +31,7 @@ from taskmesh.sources import load, materialise
 CAPACITY = 4096
 END = 1
 #: Rows ranked together at most, on average.
-CHUNK = 20_000
+CHUNK = 4_000
 
 
 def best_two_fit(counts: np.ndarray) -> list[tuple[tuple[int, ...], int]]:

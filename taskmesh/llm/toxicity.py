@@ -133,7 +133,7 @@ def train_nnpu(
             else:  # climb on the term that went below zero
                 gp, gu = prior * sigmoid(zp) / np_, -sigmoid(zu) / nu
             grad = np.bincount(fp, np.repeat(gp, np.diff(sp)), size) + np.bincount(fu, np.repeat(gu, np.diff(su)), size)
-            grad += l2 * weight
+            grad = grad + l2 * weight  # without features in a batch, the counts above are integers
             square += grad * grad
             weight = weight - rate / np.sqrt(square) * grad
             grad_b = gp.sum() + gu.sum()

@@ -7,10 +7,11 @@ check is dropped and not tried again from a later place.
 Added kinds go through a score: a prior for the pattern, plus what a passed checksum adds, plus or minus what words
 within ``window`` code points say; spans that reach ``threshold`` are kept.
 
-* iban: country, two check digits, 11 to 30 more; mod-97 must be 1.
+* iban: country, two check digits, 11 to 30 more; mod-97 must be 1. What follows may look like a part of the number, so every
+  end between groups is tried, that at the country's length first, then from the longest.
 * account: 8 to 12 digits near a word such as "account" or "konto".
 * ssn: three-two-four digits that the numbering allows; a context word, or no sign of the contrary, is needed.
-* secret: ``name=value`` or ``name: value`` for names such as password or token, and well-known key prefixes.
+* secret: ``name=value`` or ``name: value`` for names such as password or token, the value as long as it runs, and well-known key prefixes.
 
 All searches take time linear in the text: runs of pattern characters are found once and looked at from the inside, so
 very long runs of letters or digits cost no more than others.
@@ -42,10 +43,19 @@ _PHONE = re.compile(r"\+[0-9][ ().0-9-]+[0-9]")
 _NOT_DIGIT = re.compile(r"[^0-9]+")
 _ANY_DIGIT = re.compile(r"[0-9]")
 
-_IBAN = re.compile(r"(?<![A-Za-z0-9])[A-Z]{2}[0-9]{2}(?: ?[A-Z0-9]){11,30}(?![A-Za-z0-9])")
+_IBAN = re.compile(r"(?<![A-Za-z0-9])[A-Z]{2}[0-9]{2}(?: ?[A-Z0-9]){11,30}")
+_ALNUM = re.compile(r"[A-Za-z0-9]")
+_IBAN_LENGTHS = {
+    **dict.fromkeys(("NO",), 15), **dict.fromkeys(("BE",), 16), **dict.fromkeys(("DK", "FO", "FI", "GL", "NL"), 18), **dict.fromkeys(("MK", "SI"), 19),
+    **dict.fromkeys(("AT", "BA", "EE", "KZ", "XK", "LT", "LU"), 20), **dict.fromkeys(("HR", "LV", "LI", "CH"), 21),
+    **dict.fromkeys(("BH", "BG", "CR", "GE", "DE", "IE", "ME", "RS", "GB", "VA"), 22), **dict.fromkeys(("TL", "GI", "IQ", "IL", "AE"), 23),
+    **dict.fromkeys(("AD", "CZ", "MD", "PK", "RO", "SA", "SK", "ES", "SE", "TN", "VG"), 24), **dict.fromkeys(("PT",), 25), **dict.fromkeys(("IS", "TR"), 26),
+    **dict.fromkeys(("FR", "GR", "IT", "MR", "MC", "SM"), 27), **dict.fromkeys(("AL", "AZ", "BY", "CY", "DO", "GT", "HU", "LB", "PL"), 28),
+    **dict.fromkeys(("BR", "PS", "QA", "UA"), 29), **dict.fromkeys(("JO", "KW", "MU"), 30), **dict.fromkeys(("MT", "SC"), 31), **dict.fromkeys(("LC",), 32),
+}
 _ACCOUNT = re.compile(r"(?<![\w.+-])[0-9]{8,12}(?![\w.-])")
 _SSN = re.compile(r"(?<![\w.-])[0-9]{3}-[0-9]{2}-[0-9]{4}(?![\w-])")
-_SECRET = re.compile(r"(?:password|passwd|pwd|secret|token|api[_-]?key)\s{0,3}[=:]\s{0,3}[\"']?([^\s\"',;]{6,128})", re.I)
+_SECRET = re.compile(r"(?:password|passwd|pwd|secret|token|api[_-]?key)\s{0,3}[=:]\s{0,3}[\"']?([^\s\"',;]{6,})", re.I)
 _KEY = re.compile(r"(?<![A-Za-z0-9])(?:AKIA[A-Z0-9]{16}|gh[pousr]_[A-Za-z0-9]{36})(?![A-Za-z0-9])")
 
 # Context words: what they add to the score of a kind when they stand near.
@@ -77,6 +87,21 @@ def mod97(code: str) -> bool:
     return int("".join(str(int(c, 36)) for c in moved)) % 97 == 1
 
 
+def ibans(text: str) -> list[tuple[int, int]]:
+    out, m = [], _IBAN.search(text)
+    while m:
+        start, run = m.start(), m.group()
+        ends = [k for k in range(len(run), 14, -1) if run[k - 1] != " " and not _ALNUM.match(text, start + k)]
+        codes = [(k, run[:k].replace(" ", "")) for k in ends]
+        usual = _IBAN_LENGTHS.get(run[:2])
+        codes.sort(key=lambda c: len(c[1]) != usual)
+        end = next((k for k, code in codes if len(code) >= 15 and mod97(code)), None)
+        if end is not None:
+            out.append((start, start + end))
+        m = _IBAN.search(text, start + (end or 1))
+    return out
+
+
 def emails(text: str) -> list[tuple[int, int]]:
     """Each "@" has one run of local characters before it, so a match starts where that run does, or where the last match ended."""
     out, done, before = [], 0, 0
@@ -141,10 +166,7 @@ def added(text: str, window: int = 48, threshold: float = 0.6) -> list[tuple[str
     """Spans of the added kinds, with their scores."""
     proposed: list[tuple[str, int, int, bool]] = []
     if _ANY_DIGIT.search(text):
-        for m in _IBAN.finditer(text):
-            code = m.group().replace(" ", "")
-            if 15 <= len(code) <= 34 and mod97(code):
-                proposed.append(("iban", *m.span(), True))
+        proposed += [("iban", *span, True) for span in ibans(text)]
         proposed += [("account", *m.span(), False) for m in _ACCOUNT.finditer(text)]
         for m in _SSN.finditer(text):
             area, group, serial = m.group().split("-")

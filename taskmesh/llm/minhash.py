@@ -85,6 +85,11 @@ def shingle_set(tokens: list[bytes], n: int, hashes: WordHashes) -> np.ndarray:
     return np.unique(out)
 
 
+def set_key(shingles: np.ndarray) -> int:
+    """Of a set that is not empty; equal sets have equal keys."""
+    return xxhash.xxh64_intdigest(shingles.tobytes()) - (1 << 63)
+
+
 def donors(bins: int, tries: int = 64) -> np.ndarray:
     """For each bin, the sequence of bins it borrows from while it is empty."""
     grid = np.arange(bins, dtype=U64)[:, None] * U64(1_000_003) + np.arange(1, tries + 1, dtype=U64)[None, :]
@@ -126,7 +131,7 @@ def _describe(config: MinHashConfig):
                 if not len(own):
                     key.append(0), bands.append(None), sketch.append(None)
                     continue
-                key.append(xxhash.xxh64_intdigest(own.tobytes()) - (1 << 63))
+                key.append(set_key(own))
                 sig = signature(own, config.bins, sequence)
                 grouped = sig[:used].reshape(config.bands, config.rows)
                 h = numbers * _M1
@@ -146,8 +151,9 @@ def _sets(config: MinHashConfig):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         hashes = WordHashes()
         for b in batches:
-            own = [shingle_set(words(text), config.shingle, hashes) for text in text_bytes(b)]
-            yield pa.RecordBatch.from_arrays([b.column("key"), pa.array([s.view(np.int64) for s in own], pa.list_(pa.int64()))], ["key", "shingles"])
+            own = ((key, shingle_set(words(text), config.shingle, hashes)) for key, text in zip(b.column("key").to_pylist(), text_bytes(b), strict=True))
+            own = [(key, s) for key, s in own if set_key(s) == key]  # an id that repeats has other texts too
+            yield pa.RecordBatch.from_arrays([pa.array([k for k, _ in own], pa.int64()), pa.array([s.view(np.int64) for _, s in own], pa.list_(pa.int64()))], ["key", "shingles"])
 
     return run
 
@@ -165,10 +171,12 @@ def _sketch_fits(config: MinHashConfig, a: str, b: str, na: str, nb: str) -> Col
     return differ <= config.bins * (p + 5 * F.sqrt(F.lit(p * (1 - p)) / free))
 
 
-def full_sets(keys: DataFrame, texts: DataFrame, config: MinHashConfig) -> DataFrame:
-    """keys: key. Their sets, stored: key, shingles. texts: key, text, one row for each class."""
+def full_sets(keys: DataFrame, texts: DataFrame, config: MinHashConfig, repeated: bool = True) -> DataFrame:
+    """keys: key. Their sets, stored: key, shingles, one row for each. texts: key and the texts of its first id, which may be
+    other sets' too; repeated: whether a class may have several rows of its own among them."""
     needed = texts.join(keys.hint("rebalance"), "key", "left_semi")
-    return materialise(needed.mapInArrow(_sets(config), "key long, shingles array<long>"), "minhash-sets")
+    sets = needed.mapInArrow(_sets(config), "key long, shingles array<long>")
+    return materialise(sets.dropDuplicates(["key"]) if repeated else sets, "minhash-sets")
 
 
 def confirm(pairs: DataFrame, sets: DataFrame, config: MinHashConfig) -> DataFrame:
@@ -202,7 +210,9 @@ def components(docs: DataFrame, config: MinHashConfig) -> DataFrame:
     least = materialise(with_set.groupBy("key").agg(F.min("doc_id").alias("rep")), "minhash-least")
     # One row of each class stands for it; where rows repeat an id and a text, any of them: they are equal.
     stand = with_set.join(least.withColumnRenamed("key", "_key"), (F.col("key") == F.col("_key")) & (F.col("doc_id") == F.col("rep")))
-    classes = materialise(stand.select("key", "rep", "n", "sketch", "bands").dropDuplicates(["key"]), "minhash-classes")
+    each = stand.groupBy("key").agg(*[F.first(c).alias(c) for c in ("rep", "n", "sketch", "bands")], F.count("*").alias("rows"))
+    classes = materialise(each, "minhash-classes")
+    repeated = not classes.where("rows > 1").isEmpty()
 
     buckets = classes.select("key", "rep", F.posexplode("bands").alias("band", "hash"))
     centres = buckets.groupBy("band", "hash").agg(F.min(F.struct("rep", "key")).alias("c"), F.count("*").alias("members")).where("members > 1")
@@ -215,11 +225,11 @@ def components(docs: DataFrame, config: MinHashConfig) -> DataFrame:
     first = first.join(small.selectExpr("key AS ka", "n AS na", "sketch AS za"), "ka").join(small.selectExpr("key AS kb", "n AS nb", "sketch AS zb"), "kb")
     tried = materialise(first.where(_size_fits(config.percent, "na", "nb") & _sketch_fits(config, "za", "zb", "na", "nb")).select("ka", "kb", "a", "b"), "minhash-stars")
 
-    # The text of each class's first row, for full sets.
+    # The texts of each class's first id, for full sets, which drop those that are not the class's.
     keyed = classes.selectExpr("rep AS _rep", "key").hint("rebalance")
     texts = docs.where("doc_id IS NOT NULL").join(keyed, F.col("doc_id") == F.col("_rep")).select("key", "text")
     ends = tried.selectExpr("ka AS key").unionAll(tried.selectExpr("kb AS key")).distinct()
-    links = materialise(confirm(tried, full_sets(ends, texts, config), config).select("a", "b"), "minhash-links")
+    links = materialise(confirm(tried, full_sets(ends, texts, config, repeated), config).select("a", "b"), "minhash-links")
     found = connected_components(links)
 
     member = shared.join(found.hint("rebalance"), F.col("rep") == F.col("node"), "left").select("band", "hash", "key", "rep", F.coalesce("component", "rep").alias("comp"))
@@ -233,7 +243,7 @@ def components(docs: DataFrame, config: MinHashConfig) -> DataFrame:
     left, right = _two_sides(open_)
     hopeful = left.join(right, (F.col("band_a") == F.col("band_b")) & (F.col("hash_a") == F.col("hash_b")) & across, "left_semi")
     hopeful = materialise(hopeful.selectExpr("key_a AS key", "rep_a AS rep", "comp_a AS comp").distinct(), "minhash-hopeful")
-    sets = full_sets(hopeful.select("key"), texts, config)
+    sets = full_sets(hopeful.select("key"), texts, config, repeated)
     rare = materialise(rare_shingles(sets, config).join(hopeful, "key"), "minhash-rare")
     left, right = _two_sides(rare)
     # At the first shingle that two sets share in this order, what follows bounds their intersection.

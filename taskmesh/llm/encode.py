@@ -21,6 +21,8 @@ import numpy as np
 import public_tokenizers
 from tokenizers import Tokenizer
 
+from taskmesh.llm.words import kept
+
 #: Pieces in each of the two generations of the cache; a full one takes the place of the older. They bound memory only.
 CACHE_ENTRIES = 400_000
 
@@ -34,7 +36,6 @@ _PLAIN = [*range(33, 127), *range(161, 173), *range(174, 256)]
 _ALPHABET = {b: b for b in _PLAIN} | {b: 256 + k for k, b in enumerate(b for b in range(256) if b not in _PLAIN)}
 
 _SPACE_SIGN = chr(_ALPHABET[32])
-_encoders: dict[tuple[str, bool], Encoder] = {}
 
 
 class Pieces(dict):
@@ -128,11 +129,8 @@ class Encoder:
 
 
 def encoder(name: str, drops_space: bool) -> Encoder:
-    """name: a file of the public tokenizers, or a path. One per worker process, kept between tasks."""
-    if (name, drops_space) not in _encoders:
-        path = name if "/" in name else public_tokenizers.path(name)
-        _encoders[name, drops_space] = Encoder(path, drops_space)
-    return _encoders[name, drops_space]
+    """name: a file of the public tokenizers, or a path. One for each worker process, kept from task to task while they want the same."""
+    return kept((name, drops_space), lambda: Encoder(name if "/" in name else public_tokenizers.path(name), drops_space))
 
 
 BYTE_BPE = ("byte_bpe_50k.json", False)

@@ -37,7 +37,7 @@ from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from taskmesh.llm.graph import connected_components
-from taskmesh.llm.words import CACHE_ENTRIES, text_bytes, words
+from taskmesh.llm.words import CACHE_ENTRIES, lean, text_bytes, words
 from taskmesh.sources import load, materialise
 
 U64 = np.uint64
@@ -175,7 +175,7 @@ def full_sets(keys: DataFrame, texts: DataFrame, config: MinHashConfig, repeated
     """keys: key. Their sets, stored: key, shingles, one row for each. texts: key and the texts of its first id, which may be
     other sets' too; repeated: whether a class may have several rows of its own among them."""
     needed = texts.join(keys.hint("rebalance"), "key", "left_semi")
-    sets = needed.mapInArrow(_sets(config), "key long, shingles array<long>")
+    sets = needed.mapInArrow(lean(_sets(config)), "key long, shingles array<long>")
     return materialise(sets.dropDuplicates(["key"]) if repeated else sets, "minhash-sets")
 
 
@@ -205,7 +205,7 @@ def _two_sides(rows: DataFrame) -> tuple[DataFrame, DataFrame]:
 def components(docs: DataFrame, config: MinHashConfig) -> DataFrame:
     """docs: doc_id, text. Returns doc_id, n_shingles, component_id, kept and class_id (the least doc_id with the same set), by row."""
     docs = docs.select("doc_id", "text")
-    described = materialise(docs.mapInArrow(_describe(config), "doc_id long, n long, key long, bands array<long>, sketch array<long>"), "minhash-docs")
+    described = materialise(docs.mapInArrow(lean(_describe(config)), "doc_id long, n long, key long, bands array<long>, sketch array<long>"), "minhash-docs")
     with_set = described.where("n > 0 AND doc_id IS NOT NULL")
     least = materialise(with_set.groupBy("key").agg(F.min("doc_id").alias("rep")), "minhash-least")
     # One row of each class stands for it; where rows repeat an id and a text, any of them: they are equal.

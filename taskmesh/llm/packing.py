@@ -25,7 +25,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from taskmesh.llm.encode import WORD_BPE, encoder
-from taskmesh.llm.words import text_bytes
+from taskmesh.llm.words import lean, text_bytes
 from taskmesh.sources import load, materialise
 
 CAPACITY = 4096
@@ -125,7 +125,7 @@ def cut(docs: DataFrame, capacity: int = CAPACITY, tokenizer: tuple[str, bool] =
             names = ["doc_id", "piece", "start", "length", "ids_crc32", "ids"][: 5 + with_ids]
             yield pa.RecordBatch.from_arrays([pa.array(v, k) for v, k, _ in zip(rows, kinds, names, strict=False)], names)
 
-    return docs.select("doc_id", "text").mapInArrow(run, schema)
+    return docs.select("doc_id", "text").mapInArrow(lean(run, keeps=True), schema)
 
 
 def pack(pieces: DataFrame, capacity: int = CAPACITY) -> DataFrame:

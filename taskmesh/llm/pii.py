@@ -29,7 +29,7 @@ from collections.abc import Iterator
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 
-from taskmesh.llm.words import numbered
+from taskmesh.llm.words import lean, numbered
 from taskmesh.sources import load
 
 BASE = ("email", "ip", "card", "phone")
@@ -230,7 +230,7 @@ def scan(docs: DataFrame, window: int = 48, threshold: float = 0.6) -> DataFrame
                 ["doc_id", "spans"],
             )
 
-    return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, spans array<struct<kind:string,start:long,end:long,score:double>>")
+    return docs.select("doc_id", "text").mapInArrow(lean(run), "doc_id long, spans array<struct<kind:string,start:long,end:long,score:double>>")
 
 
 def redact(docs: DataFrame, window: int = 48, threshold: float = 0.6) -> DataFrame:
@@ -247,7 +247,7 @@ def redact(docs: DataFrame, window: int = 48, threshold: float = 0.6) -> DataFra
                 columns[chars_at] = pa.array([None if t is None else len(t) for t in texts], pa.int64()).cast(b.column(chars_at).type)
             yield pa.RecordBatch.from_arrays(columns, b.schema.names)
 
-    return plain.mapInArrow(run, plain.schema).toDF(*names)
+    return plain.mapInArrow(lean(run), plain.schema).toDF(*names)
 
 
 def op10_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -268,4 +268,4 @@ def op10_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
             )
 
     docs = load(spark, sf_dir, "documents", ["doc_id", "text"])
-    return docs.mapInArrow(run, "doc_id long, n_email long, n_ip long, n_card long, n_phone long, base_sha256 string, spans string")
+    return docs.mapInArrow(lean(run), "doc_id long, n_email long, n_ip long, n_card long, n_phone long, base_sha256 string, spans string")

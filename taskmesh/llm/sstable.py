@@ -38,7 +38,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from taskmesh.llm.encode import BYTE_BPE, encoder
-from taskmesh.llm.words import text_bytes
+from taskmesh.llm.words import lean, text_bytes
 from taskmesh.sources import load, materialise, shared_dir
 
 BLOCK_BYTES = 64 << 10
@@ -276,7 +276,7 @@ def write_shards(docs: DataFrame, folder: str, tokenizer: tuple[str, bool] = BYT
             [pa.array(columns[0], pa.int32()), pa.array(columns[1], pa.string()), pa.array(columns[2], pa.int64()), pa.array(columns[3], pa.int64())], ["shard", "path", "documents", "tokens"]
         )
 
-    encoded = docs.mapInArrow(encode, "shard int, doc_id long, crc long, value binary")
+    encoded = docs.mapInArrow(lean(encode, keeps=True), "shard int, doc_id long, crc long, value binary")
     sorted_ = encoded.repartition(len(bounds) + 1, "shard").sortWithinPartitions("shard", F.col("doc_id").asc_nulls_first(), "crc")
     return materialise(sorted_.mapInArrow(write, "shard int, path string, documents long, tokens long"), "sst-shards")
 

@@ -34,7 +34,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from taskmesh.llm.words import CACHE_ENTRIES, in_fold, numbered, text_bytes, words
+from taskmesh.llm.words import CACHE_ENTRIES, in_fold, lean, numbered, text_bytes, words
 from taskmesh.sources import load
 
 BITS = 20
@@ -168,7 +168,7 @@ def fit(docs: DataFrame, labels: DataFrame, max_positive: int = 4000, max_unlabe
     picked = [(r.doc_id, True) for r in positive_ids.collect()] + [(r.doc_id, False) for r in unlabelled_ids.collect()]
     chosen = spark.createDataFrame(picked, "_id long, positive boolean")
     sample = docs.select("doc_id", "text").join(F.broadcast(chosen), F.col("doc_id") == F.col("_id")).select("positive", "text")
-    rows = sample.mapInArrow(_features, "positive boolean, features binary")
+    rows = sample.mapInArrow(lean(_features), "positive boolean, features binary")
     sets: dict[bool, list[np.ndarray]] = {True: [], False: []}
     for r in rows.toLocalIterator():  # a partition at a time, and as numbers at once: the sample is the driver's largest load
         if len(r.features):
@@ -205,7 +205,7 @@ def score(docs: DataFrame, model: ToxicityModel, column: str = "score") -> DataF
             yield pa.RecordBatch.from_arrays([*b.columns, pa.array(scores, pa.float64())], [*b.schema.names, "score"])
 
     schema = T.StructType([*plain.schema.fields, T.StructField("score", T.DoubleType())])
-    return plain.mapInArrow(run, schema).toDF(*names, column)
+    return plain.mapInArrow(lean(run), schema).toDF(*names, column)
 
 
 def filter_toxic(docs: DataFrame, labels: DataFrame, threshold: float = 0.3) -> DataFrame:

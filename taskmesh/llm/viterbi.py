@@ -31,7 +31,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from taskmesh.llm.words import CACHE_ENTRIES, numbered
+from taskmesh.llm.words import CACHE_ENTRIES, lean, numbered
 from taskmesh.sources import load
 
 MARK = "▁"
@@ -126,7 +126,7 @@ def count_tokens(docs: DataFrame, vocabulary: list[tuple[str, float]], column: s
             )
 
     schema = T.StructType([*plain.schema.fields, T.StructField("tokens", T.LongType()), T.StructField("unknown", T.LongType())])
-    return plain.mapInArrow(run, schema).toDF(*names, column, f"{column}_unknown")
+    return plain.mapInArrow(lean(run), schema).toDF(*names, column, f"{column}_unknown")
 
 
 def op8_viterbi(spark: SparkSession, sf_dir: str) -> DataFrame:

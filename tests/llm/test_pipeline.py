@@ -1,5 +1,7 @@
 """The pipeline on a small corpus: each stage's decisions take effect, clean documents stay, columns hold until the last."""
 
+import random
+import zlib
 from collections import Counter
 
 import corpus_pipeline
@@ -31,5 +33,30 @@ def test_stages(spark, tmp_path):
     assert packed == mixed and max(mixed.values()) <= 3
 
 
+def test_toxic_documents_go_and_ids_come_out(spark, tmp_path):
+    rng = random.Random(5)
+    clean = ["".join(rng.choice("klmnop") for _ in range(5)) for _ in range(300)]
+    rows = []
+    for i in range(1500):
+        text = [rng.choice(clean) for _ in range(40)]
+        if i % 5 == 0:
+            text[rng.randrange(40)] = rng.choice(["vexo", "grubba", "snarl"])
+        rows.append((i, " ".join(text), f"s{i % 4}", "kept"))
+    docs = spark.createDataFrame(rows, "doc_id long, text string, source string, score string")
+    docs.write.parquet(f"file://{tmp_path}/documents.parquet")
+    spark.createDataFrame([(i, int(i % 5 == 0)) for i in range(0, 1500, 2)], "doc_id long, toxic int").write.parquet(f"file://{tmp_path}/labels.parquet")
+    left = corpus_pipeline.STAGES[0][1](spark, docs, f"file://{tmp_path}")
+    assert left.columns == docs.columns and {r.doc_id for r in left.collect()} == {i for i in range(1500) if i % 5}
+    packed = corpus_pipeline.run(spark, f"file://{tmp_path}").collect()
+    assert {r.doc_id % 5 for r in packed} == {1, 2, 3, 4}
+    assert all(len(r.ids) == 4 * r.length and zlib.crc32(r.ids) == r.ids_crc32 for r in packed)
+
+
+def test_empty_tables(spark, tmp_path):
+    spark.createDataFrame([], "doc_id long, text string, lang string, source string, n_chars long").write.parquet(f"file://{tmp_path}/documents.parquet")
+    spark.createDataFrame([], "doc_id long, quality int, toxic int").write.parquet(f"file://{tmp_path}/labels.parquet")
+    assert corpus_pipeline.run(spark, f"file://{tmp_path}").count() == 0
+
+
 def test_run_is_the_stages(spark):
     assert corpus_pipeline.run(spark, "/root/testdata/sf0.001").columns[:3] == ["doc_id", "piece", "start"]

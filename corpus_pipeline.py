@@ -2,7 +2,7 @@
 
 toxicity: documents that score as toxic go. near_duplicates: of each group of near copies one document stays. pii: marks
 replace personal data in the texts. mixing: sources are repeated or thinned to their target weights. packing: documents
-become pieces with places in sequences, the only stage whose columns are not those of documents.
+become pieces with their token ids and places in sequences, the only stage whose columns are not those of documents.
 """
 
 from __future__ import annotations
@@ -38,7 +38,7 @@ def mixing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def packing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return pack_documents(docs)
+    return pack_documents(docs, with_ids=True)
 
 
 STAGES: list[tuple[str, Stage]] = [

@@ -10,16 +10,18 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from taskmesh.operators.frames import pack
-from taskmesh.operators.local import solve_block
+from taskmesh.operators.local import block_arrays, sampled_rows, solve_block
 from taskmesh.operators.losses import Loss
 from taskmesh.operators.policies import FixedAccuracy, WorkBudget
 from taskmesh.operators.relations import IndependentRelation, PooledRelation, Relation
 from taskmesh.operators.solver import FitResult, Problem, State, attach, prepare, update_weights
-from taskmesh.sources import materialise
+from taskmesh.operators.vector_aggregates import vector_sum
+from taskmesh.sources import discard, materialise
 
 
 def fit_global(tasks: DataFrame, loss: Loss, lam: float, rounds: int = 20, block_rows: int = 512, passes: float = 1.0) -> FitResult:
-    """All points in one task; its blocks are solved in parallel, with sigma the number of blocks."""
+    """All points in one task; its blocks are solved in parallel, with sigma the number of blocks. Packing cuts the task by draws,
+    so the table is neither sorted nor gathered in one place."""
     pooled = tasks.select(F.lit(0).cast("long").alias("task_id"), F.xxhash64("task_id", "row_id").alias("row_id"), "features", "label")
     return update_weights(prepare(pack(pooled, block_rows)), PooledRelation(lam2=lam), loss, rounds, WorkBudget(passes=passes))
 
@@ -73,18 +75,21 @@ def minibatch_sgd(problem: Problem, relation: Relation, loss: Loss, batch: int =
         def step(batches: Iterator[pa.RecordBatch], h: int = h) -> Iterator[pa.RecordBatch]:
             for b in batches:
                 out: list[list] = [[] for _ in range(6)]
-                for r in b.to_pylist():
-                    x, y, model = np.array(r["xs"], float), np.array(r["ys"], float), np.array(r["w"], float)
+                get = {n: b.column(n).to_pylist() for n in ("task_id", "block_id", "n", "budget", "dropped")}
+                for k, (x, y, model) in enumerate(block_arrays(b)):
                     z = x @ model
-                    rng = np.random.default_rng([seed, h, r["task_id"] & 0xFFFFFFFF, r["block_id"]])
-                    some = rng.permutation(len(y))[: max(1, min(batch * len(y) // r["n"] or 1, r["budget"], len(y)))]
-                    g = np.zeros(len(model)) if r["dropped"] else x[some].T @ loss.subgradient(z[some], y[some]) * (len(y) / len(some))
-                    for column, value in zip(out, (r["task_id"], g, float(np.sum(loss.value(z, y))), 0 if r["dropped"] else len(some), r["dropped"], len(y)), strict=True):
+                    some = sampled_rows(len(y), (seed, h, get["task_id"][k], get["block_id"][k]))[: max(1, min(batch * len(y) // get["n"][k] or 1, get["budget"][k], len(y)))]
+                    gone = get["dropped"][k]
+                    g = np.zeros(len(model)) if gone else x[some].T @ loss.subgradient(z[some], y[some]) * (len(y) / len(some))
+                    for column, value in zip(out, (get["task_id"][k], g, float(np.sum(loss.value(z, y))), 0 if gone else len(some), gone, len(y)), strict=True):
                         column.append(value)
                 kinds = (pa.int64(), pa.list_(pa.float64()), pa.float64(), pa.int32(), pa.bool_(), pa.int32())
                 yield pa.RecordBatch.from_arrays([pa.array(v, k) for v, k in zip(out, kinds, strict=True)], ["task_id", "g", "loss", "sampled", "dropped", "n"])
 
-        done = rows.select("task_id", "block_id", "xs", "ys", "w", "n", "budget", "dropped").mapInArrow(step, schema).collect()  # d numbers per block
+        stepped = materialise(rows.select("task_id", "block_id", "xs", "ys", "w", "n", "budget", "dropped").mapInArrow(step, schema), "sgd")
+        sums = stepped.groupBy("task_id").agg(F.sum("loss").alias("loss"), F.sum("sampled").alias("sampled"), F.max("dropped").alias("dropped"), F.sum("n").alias("n"))
+        done = sums.join(vector_sum(stepped, ["task_id"], "g"), "task_id").orderBy("task_id").collect()  # d numbers per task, bounded by DRIVER_CELLS
+        discard(stepped)
         primal = relation.penalty(w) + sum(r.loss for r in done)
         history.append({"run": run, "outer": 0, "round": h, "primal": primal, "dual": float("nan"), "gap": float("nan")})
         if h == rounds:
@@ -107,7 +112,3 @@ def tune(runs: dict[str, Callable[[], FitResult]], time_of: Callable[[FitResult]
     times = {name: time_of(fit) for name, fit in fits.items()}
     best = min(times, key=lambda n: (times[n], list(times).index(n)))
     return best, fits[best], times
-
-
-def save_history(fit: FitResult) -> DataFrame:
-    return materialise(fit.history_frame(), "history")

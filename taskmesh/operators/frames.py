@@ -5,6 +5,8 @@ Packing is the only shuffle of features: afterwards a row is a block of a task,
 
 from __future__ import annotations
 
+import math
+
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -55,10 +57,24 @@ def filter_tasks(df: DataFrame, min_rows: int = 1, max_rows: int | None = None)
     return df.join(kept, "task_id", "left_semi")
 
 
-def select_tasks(df: DataFrame, ids: list[int] | None = None, between: tuple[int, int] | None = None) -> DataFrame:
-    if ids is not None:
-        df = df.where(F.col("task_id").isin(ids))
-    return df.where(F.col("task_id").between(*between)) if between else df
+def select_tasks(
+    df: DataFrame, ids: list[int] | None = None, between: tuple[int, int] | None = None, pattern: str | None = None, equal: int | None = None, missing: bool | None = None, column: str = "task_id"
+) -> DataFrame:
+    """Rows by their task: one of ``ids``, within a range, by a pattern of the id as text, equal to one value (null-safe), or with
+    a null id (missing) or not; all that are given must hold. column: the task's, or another that names it."""
+    c = F.col(column)
+    for wanted in (
+        None if ids is None else c.isin(ids), None if between is None else c.between(*between), None if pattern is None else c.cast("string").rlike(pattern),
+        None if equal is None else c.eqNullSafe(F.lit(equal)), None if missing is None else c.isNull() == F.lit(missing),
+    ):
+        df = df if wanted is None else df.where(wanted)
+    return df
+
+
+def one_hot(column: Column | str, categories: list) -> list[Column]:
+    """A 0/1 column for each category; a value that is none of them, or null, has none set."""
+    column = F.col(column) if isinstance(column, str) else column
+    return [F.coalesce((column == F.lit(c)).cast("double"), F.lit(0.0)) for c in categories]
 
 
 def task_sizes(df: DataFrame) -> DataFrame:
@@ -66,11 +82,14 @@ def task_sizes(df: DataFrame) -> DataFrame:
 
 
 def imbalance(df: DataFrame) -> DataFrame:
-    """Tasks, points, the smallest, median and largest task, largest over median, and the Gini coefficient of sizes."""
-    n = df.groupBy("task_id").agg(F.count("*").alias("n"))
-    ranked = n.withColumn("r", F.row_number().over(Window.orderBy("n", "task_id")))
+    """Tasks, points, the smallest, median and largest task, largest over median, and the Gini coefficient of sizes.
+
+    Ranks come from how many tasks have each size, so what is put in order is the distinct sizes, not the tasks."""
+    n = df.groupBy("task_id").agg(F.count("*").alias("n")).groupBy("n").agg(F.count("*").alias("k"))
+    below = F.coalesce(F.sum("k").over(Window.orderBy("n").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+    ranked = n.withColumn("r", F.col("k") * below + F.col("k") * (F.col("k") + 1) / 2)  # the sum of the ranks of one size
     stats = ranked.agg(
-        F.count("*").alias("tasks"), F.sum("n").alias("points"), F.min("n").alias("least"), F.expr("percentile(n, 0.5)").alias("median"), F.max("n").alias("most"),
+        F.sum("k").alias("tasks"), F.sum(F.col("n") * F.col("k")).alias("points"), F.min("n").alias("least"), F.expr("percentile(n, 0.5, k)").alias("median"), F.max("n").alias("most"),
         F.sum(F.col("n") * F.col("r")).alias("_rn"),
     )
     gini = 2.0 * F.col("_rn") / (F.col("tasks") * F.col("points")) - (F.col("tasks") + 1) / F.col("tasks")
@@ -81,16 +100,48 @@ def _shuffled(trial: int | Column, seed: int) -> Column:
     return portable_uniform("split", seed, trial if isinstance(trial, Column) else F.lit(trial), F.col("task_id"), F.col("row_id"))
 
 
+def ranked(df: DataFrame, draw: Column, keys: tuple[str, ...] = ("task_id",), lot: int = BLOCK_ROWS) -> DataFrame:
+    """Adds _n, the rows of a row's key, and _rank, its place from 1 on in the order of ``draw`` (uniform in [0, 1)), then row_id.
+
+    A key of any size is spread: its rows are cut into lots by ranges of the draw, about ``lot`` rows each, ranked within a lot,
+    and lots add the rows of those before them. So no key's rows meet in one task."""
+    own = df.withColumn("_u", draw)
+    sizes = own.groupBy(*keys).agg(F.count("*").alias("_n"))
+    own = _with(own, sizes, keys).withColumn("_lot", F.floor(F.col("_u") * F.ceil(F.col("_n") / lot)).cast("long"))
+    lots = own.groupBy(*keys, "_lot").agg(F.count("*").alias("_c"))
+    ahead = F.sum("_c").over(Window.partitionBy(*keys).orderBy("_lot")) - F.col("_c")
+    within = F.row_number().over(Window.partitionBy(*keys, "_lot").orderBy("_u", "row_id"))
+    out = _with(own.withColumn("_place", within), lots.select(*keys, "_lot", ahead.alias("_ahead")), (*keys, "_lot"))
+    return out.withColumn("_rank", F.col("_place") + F.col("_ahead")).drop("_u", "_lot", "_place", "_ahead")
+
+
+def _with(df: DataFrame, sums: DataFrame, keys: tuple[str, ...]) -> DataFrame:
+    """Rows with the sums of their key; the sums are rebalanced, so that adaptive execution may split a hot key of ``df``."""
+    named = sums.withColumnsRenamed({k: f"_k_{k}" for k in keys}).hint("rebalance")
+    same = None
+    for k in keys:
+        one = F.col(k).eqNullSafe(F.col(f"_k_{k}"))
+        same = one if same is None else same & one
+    return df.join(named, same).drop(*[f"_k_{k}" for k in keys])
+
+
 def split(df: DataFrame, trial: int = 0, share: float = 0.75, seed: int = 0) -> DataFrame:
     """Within each task the first ceil(share * n) rows by hash are for training."""
-    place = F.row_number().over(Window.partitionBy("task_id").orderBy(_shuffled(trial, seed), "row_id"))
-    n = F.count("*").over(Window.partitionBy("task_id"))
-    return df.withColumn("split", F.when(place <= F.ceil(n * F.lit(share)), "train").otherwise("test"))
+    out = ranked(df, _shuffled(trial, seed))
+    return out.withColumn("split", F.when(F.col("_rank") <= F.ceil(F.col("_n") * F.lit(share)), "train").otherwise("test")).drop("_rank", "_n")
+
+
+def tile(rank: Column, n: Column, k: int) -> Column:
+    """Which of k nearly equal parts, the larger ones first, a rank from 1 to n is in; from 0 on."""
+    size, more = F.floor(n / k), F.pmod(n, F.lit(k))
+    head = more * (size + 1)
+    tail = more + F.floor((rank - 1 - head) / F.greatest(size, F.lit(1)))
+    return F.when(rank <= head, F.floor((rank - 1) / (size + 1))).otherwise(tail).cast("int")
 
 
 def folds(df: DataFrame, k: int = 5, trial: int = 0, seed: int = 0) -> DataFrame:
     """Within each task, k folds of nearly equal size by hash."""
-    return df.withColumn("fold", F.ntile(k).over(Window.partitionBy("task_id").orderBy(_shuffled(trial, seed + 1), "row_id")) - 1)
+    return ranked(df, _shuffled(trial, seed + 1)).withColumn("fold", tile(F.col("_rank"), F.col("_n"), k)).drop("_rank", "_n")
 
 
 def bernoulli(df: DataFrame, p: float | Column, seed: int = 0) -> DataFrame:
@@ -100,15 +151,25 @@ def bernoulli(df: DataFrame, p: float | Column, seed: int = 0) -> DataFrame:
 
 def stratified(df: DataFrame, per_task: int, seed: int = 0) -> DataFrame:
     """Exactly so many rows of each task (all, if it has fewer)."""
-    place = F.row_number().over(Window.partitionBy("task_id").orderBy(portable_uniform("pick", seed, F.col("task_id"), F.col("row_id")), "row_id"))
-    return df.withColumn("_p", place).where(F.col("_p") <= per_task).drop("_p")
+    return ranked(df, portable_uniform("pick", seed, F.col("task_id"), F.col("row_id"))).where(F.col("_rank") <= per_task).drop("_rank", "_n")
 
 
 def bootstrap_weights(df: DataFrame, seed: int = 0) -> DataFrame:
-    """A Poisson(1) weight for each row, by hash."""
+    """A Poisson(1) weight for each row, by hash: how many steps of the distribution the draw has reached. The draw has 32 bits,
+    so steps end where the rest has less than one of its values."""
     u = portable_uniform("boot", seed, F.col("task_id"), F.col("row_id"))
-    steps = [0.36787944117144233, 0.7357588823428847, 0.9196986029286058, 0.9810118431238462, 0.9963401531726563]
-    return df.withColumn("weight", sum(((u >= s).cast("int") for s in steps), F.lit(0)))
+    return df.withColumn("weight", sum(((u >= s).cast("int") for s in poisson_steps()), F.lit(0)))
+
+
+def poisson_steps(least: float = 2.0**-32) -> list[float]:
+    """Cumulative probabilities of a Poisson(1) number, until the rest is below ``least``."""
+    out, total, term, k = [], 0.0, math.exp(-1.0), 0
+    while 1.0 - total >= least:
+        total += term
+        out.append(total)
+        k += 1
+        term /= k
+    return out
 
 
 def skew_subsample(df: DataFrame, levels: int = 4, seed: int = 0) -> DataFrame:
@@ -124,12 +185,19 @@ def standardize(df: DataFrame, fit_on: str | None = "train") -> DataFrame:
     return df.crossJoin(F.broadcast(moments)).withColumn("features", scaled).drop("_m")  # one row of d numbers
 
 
+def blocked(df: DataFrame, block_rows: int = BLOCK_ROWS, seed: int = 0) -> DataFrame:
+    """Adds block_id. A task's rows go to ceil(n / block_rows) blocks by a draw of their own, so a block has block_rows points or
+    fewer on average, and all of a task that has no more than that. No order over a task is needed, only its size."""
+    sizes = df.groupBy("task_id").agg(F.count("*").alias("_n"))
+    u = portable_uniform("block", seed, F.col("task_id"), F.col("row_id"))
+    return _with(df, sizes, ("task_id",)).withColumn("block_id", F.floor(u * F.ceil(F.col("_n") / block_rows)).cast("int")).drop("_n")
+
+
 def pack(df: DataFrame, block_rows: int = BLOCK_ROWS) -> DataFrame:
-    """Blocks of at most block_rows points: task_id, block_id, row_ids, xs, ys, norms, rows in order of row_id.
+    """Blocks of about block_rows points: task_id, block_id, row_ids, xs, ys, norms, rows in order of row_id.
 
-    A task of any size is cut before its rows are gathered, so no task's rows ever meet in one array."""
-    place = F.row_number().over(Window.partitionBy("task_id").orderBy("row_id")) - 1
-    cut = df.select("task_id", "row_id", "features", "label", F.floor(place / block_rows).cast("int").alias("block_id"))
+    A task of any size is cut before its rows are gathered, so no task's rows ever meet in one array or one task."""
+    cut = blocked(df.select("task_id", "row_id", "features", "label"), block_rows)
     rows = F.sort_array(F.collect_list(F.struct("row_id", "label", "features")))
     packed = cut.groupBy("task_id", "block_id").agg(rows.alias("r"))
     get = lambda field: F.transform("r", lambda s: s[field])

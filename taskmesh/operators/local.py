@@ -14,7 +14,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from taskmesh.functions.vectors import dot
+from taskmesh.functions.draws import uniform_for
 from taskmesh.operators.losses import Loss
 from taskmesh.operators.policies import NO_LIMIT
 
@@ -76,6 +76,21 @@ def visiting_order(n: int, order: str, seed: tuple[int, ...]) -> np.ndarray:
     return np.arange(n) if order == "cyclic" else np.random.default_rng([s & 0xFFFFFFFF for s in seed]).permutation(n)
 
 
+def sampled_rows(n: int, names: tuple[int, ...]) -> np.ndarray:
+    """All rows in the order of portable draws by seed, round, task, block and row: the first of them are a sample."""
+    return np.argsort([uniform_for("batch", *names, i) for i in range(n)], kind="stable")
+
+
+def block_arrays(batch: pa.RecordBatch) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]]:
+    """Points, labels and weights of each block, as views of the batch's own numbers. Columns: xs, ys, w."""
+    points = batch.column("xs").flatten().flatten().to_numpy(zero_copy_only=False).astype(float)
+    at = 0
+    for y, w in zip(_rows(batch.column("ys")), _rows(batch.column("w")), strict=True):
+        n, d = len(y), len(w)
+        yield points[at : at + n * d].reshape(n, d), y.astype(float), w.astype(float)
+        at += n * d
+
+
 def _rows(column: pa.Array) -> list[np.ndarray]:
     values, offsets = column.flatten().to_numpy(zero_copy_only=False), column.offsets.to_numpy()
     return [values[a - offsets[0] : b - offsets[0]] for a, b in zip(offsets[:-1], offsets[1:], strict=True)]
@@ -90,23 +105,18 @@ def arrow_pass(rows: DataFrame, loss: Loss, order: str = "cyclic", seed: int = 0
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             get = {n: b.column(n).to_pylist() for n in ("task_id", "block_id", "kappa", "sigma", "budget", "theta", "dropped")}
-            ys, norms, alphas, ws = (_rows(b.column(c)) for c in ("ys", "norms", "alpha", "w"))
+            norms, alphas = (_rows(b.column(c)) for c in ("norms", "alpha"))
             out: list[list] = [[] for _ in range(9)]
-            xs = b.column("xs")
-            flat, at = xs.flatten(), 0
-            points = flat.flatten().to_numpy(zero_copy_only=False).astype(float)
-            for k in range(b.num_rows):
-                y, alpha, w = ys[k].astype(float), alphas[k].astype(float), ws[k].astype(float)
-                d, n = len(w), len(y)
-                x = points[at : at + n * d].reshape(n, d)
-                at += n * d
+            for k, (x, y, w) in enumerate(block_arrays(b)):
+                alpha, n, d = alphas[k].astype(float), len(y), len(w)
                 z = x @ w
                 sums = float(np.sum(loss.value(z, y))), float(np.sum(loss.conjugate(alpha, y)))
                 curve = get["sigma"][k] * get["kappa"][k]
                 if get["dropped"][k] or not n:
                     new, dv, steps, theta = alpha, np.zeros(d), 0, 1.0
                 else:
-                    visit = visiting_order(n, "random" if stale else order, (seed, round_, get["task_id"][k], get["block_id"][k]))
+                    names = (seed, round_, get["task_id"][k], get["block_id"][k])
+                    visit = visiting_order(n, order, names) if stale is None else sampled_rows(n, names)
                     if stale is None:
                         new, dv, steps, theta = solve_block(loss, x, y, norms[k], alpha, w, curve, get["budget"][k], get["theta"][k], visit)
                         new, dv = alpha + gamma * (new - alpha), gamma * dv
@@ -129,25 +139,22 @@ def arrow_pass(rows: DataFrame, loss: Loss, order: str = "cyclic", seed: int = 0
     return rows.select(*names).mapInArrow(run, PASS_SCHEMA)
 
 
-def expression_pass(loss: Loss, d: int) -> Column:
+def expression_pass(loss: Loss) -> Column:
     """One pass over the block's rows in order, as an expression over xs, ys, norms, alpha, w, kappa, sigma and budget: a
-    struct of u, a (the new duals) and k (steps). It keeps the rows' partitioning, needs no Python, and suits small d."""
+    struct of u, a (the new duals) and k (steps). It keeps the rows' partitioning and needs no Python."""
     points = F.arrays_zip("xs", "ys", "norms", "alpha")
     curve = F.col("sigma") * F.col("kappa")
     start = F.struct(F.col("w").alias("u"), F.array().cast("array<double>").alias("a"), F.lit(0).alias("k"))
 
     def step(state: Column, p: Column) -> Column:
-        u = state["u"]
-        xu = sum((p["xs"][j] * u[j] for j in range(1, d)), p["xs"][0] * u[0])
-        new = F.when(state["k"] < F.col("budget"), loss.step_column(p["alpha"], p["ys"], xu, curve * p["norms"])).otherwise(p["alpha"])
-        return F.struct(
-            F.zip_with(u, p["xs"], lambda a, x: a + curve * (new - p["alpha"]) * x).alias("u"),
-            F.concat(state["a"], F.array(new)).alias("a"),
+        # An array of one number stands for a variable, so the product and the new dual are worked out once a step.
+        xu = F.array(F.aggregate(F.zip_with(p["xs"], state["u"], lambda a, b: a * b), F.lit(0.0), lambda s, x: s + x))
+        new = F.transform(xu, lambda z: F.when(state["k"] < F.col("budget"), loss.step_column(p["alpha"], p["ys"], z, curve * p["norms"])).otherwise(p["alpha"]))
+        moved = lambda n: F.struct(
+            F.zip_with(state["u"], p["xs"], lambda a, x: a + curve * (n - p["alpha"]) * x).alias("u"),
+            F.concat(state["a"], F.array(n)).alias("a"),
             (state["k"] + F.when(state["k"] < F.col("budget"), 1).otherwise(0)).alias("k"),
         )
+        return F.transform(new, moved)[0]
 
     return F.aggregate(points, start, step)
-
-
-def predictions(features: Column | str, w: Column | str) -> Column:
-    return dot(features, w)

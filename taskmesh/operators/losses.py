@@ -36,6 +36,10 @@ class Loss:
         """The coordinate's new dual."""
         raise NotImplementedError
 
+    def steps(self, alpha: np.ndarray, y: float, xu: np.ndarray, q: np.ndarray) -> np.ndarray:
+        """``step`` of one point under many models at once."""
+        return np.array([self.step(float(a), y, float(z), float(c)) for a, z, c in zip(alpha, xu, q, strict=True)])
+
     def value_column(self, z: Column, y: Column) -> Column:
         raise NotImplementedError
 
@@ -66,6 +70,9 @@ class Hinge(Loss):
             return y
         return y * min(1.0, max(0.0, y * alpha + (1.0 - y * xu) / q))
 
+    def steps(self, alpha, y, xu, q):
+        return y * np.clip(y * alpha + (1.0 - y * xu) / np.maximum(q, 1e-300), 0.0, 1.0)
+
     def value_column(self, z, y):
         return F.greatest(F.lit(0.0), 1.0 - y * z)
 
@@ -102,6 +109,10 @@ class SmoothHinge(Loss):
         a = y * alpha
         return y * min(1.0, max(0.0, a + (1.0 - y * xu - self.s * a) / (q + self.s)))
 
+    def steps(self, alpha, y, xu, q):
+        a = y * alpha
+        return y * np.clip(a + (1.0 - y * xu - self.s * a) / (q + self.s), 0.0, 1.0)
+
     def value_column(self, z, y):
         m = 1.0 - y * z
         return F.when(m <= 0, F.lit(0.0)).when(m >= self.s, m - self.s / 2).otherwise(m * m / (2 * self.s))
@@ -133,6 +144,9 @@ class Squared(Loss):
     def step(self, alpha, y, xu, q):
         return alpha + (y - xu - alpha) / (1.0 + q)
 
+    def steps(self, alpha, y, xu, q):
+        return self.step(alpha, y, xu, q)
+
     def value_column(self, z, y):
         return (z - y) * (z - y) * 0.5
 

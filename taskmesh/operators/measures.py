@@ -3,16 +3,19 @@
 from __future__ import annotations
 
 import math
+from collections.abc import Iterator
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from taskmesh.functions.vectors import dot
-from taskmesh.operators.local import local_gap, solve_block, subproblem
+from taskmesh.functions.vectors import dot, norm2
+from taskmesh.operators.local import _rows, block_arrays, solve_block, subproblem
 from taskmesh.operators.losses import Loss
 from taskmesh.operators.relations import Relation
-from taskmesh.operators.solver import Problem, State
+from taskmesh.operators.solver import Problem, State, attach
+from taskmesh.operators.vector_aggregates import vector_sum
 
 NETWORKS = {"wifi": 10.0, "lte": 100.0, "3g": 1000.0}
 
@@ -44,24 +47,41 @@ def primal_objective(points: DataFrame, weights: DataFrame, relation: Relation,
     return total + relation.penalty(np.array([by_task[t] for t in order]))
 
 
+def theta_frame(problem: Problem, state: State, after: State, relation: Relation, loss: Loss, sigma: np.ndarray, passes: int = 300) -> DataFrame:
+    """task_id, theta of each task's last change: what is left of the local subproblem over what there was; 0 / 0 is 0, and the
+    worst block counts. Each block's subproblem is solved nearly exactly where the block is, so it is for probing only."""
+    rows = attach(problem, state, relation.mix(state.v), relation.kappa(len(problem.tasks)), sigma)
+    rows = rows.join(after.duals.withColumnRenamed("alpha", "moved").hint("shuffle_hash"), ["task_id", "block_id"])
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            norms, begun, moved = (_rows(b.column(c)) for c in ("norms", "alpha", "moved"))
+            curves = b.column("sigma").to_numpy(zero_copy_only=False) * b.column("kappa").to_numpy(zero_copy_only=False)
+            found = []
+            for k, (x, y, w) in enumerate(block_arrays(b)):
+                a, curve, n = begun[k].astype(float), float(curves[k]), len(y)
+                best, _, _, _ = solve_block(loss, x, y, norms[k], a, w, curve, passes * n, 1e-12, np.arange(n))
+                least, there, left = (subproblem(loss, x, y, a, d, w, curve) for d in (best - a, np.zeros(n), moved[k] - a))
+                found.append(0.0 if there - least <= 1e-12 else max(0.0, (left - least) / (there - least)))
+            yield pa.RecordBatch.from_arrays([b.column("task_id"), pa.array(found, pa.float64())], ["task_id", "theta"])
+
+    names = ["task_id", "xs", "ys", "norms", "alpha", "moved", "w", "kappa", "sigma"]
+    return rows.select(*names).mapInArrow(run, "task_id long, theta double").groupBy("task_id").agg(F.max("theta").alias("theta"))
+
+
 def measured_theta(problem: Problem, state: State, after: State, relation: Relation, loss: Loss, sigma: np.ndarray, passes: int = 300) -> dict[int, float]:
-    """theta of each task's last change: what is left of the local subproblem over what there was; 0 / 0 is 0. For probing only:
-    it solves every subproblem nearly exactly, on the driver, one block after another."""
-    kappa, w = relation.kappa(len(problem.tasks)), relation.mix(state.v)
-    old = {(r.task_id, r.block_id): np.array(r.alpha) for r in state.duals.toLocalIterator()} if state.duals is not None else {}
-    new = {(r.task_id, r.block_id): np.array(r.alpha) for r in after.duals.toLocalIterator()}
-    out: dict[int, float] = {}
-    for r in problem.packed.toLocalIterator():
-        k = problem.place[r.task_id]
-        x, y, norms = np.array(r.xs), np.array(r.ys), np.array(r.norms)
-        begun = old.get((r.task_id, r.block_id), np.zeros(len(y)))
-        curve = float(sigma[k] * kappa[k])
-        best, _, _, _ = solve_block(loss, x, y, norms, begun, w[k], curve, passes * len(y), 1e-12, np.arange(len(y)))
-        value = lambda d: subproblem(loss, x, y, begun, d, w[k], curve)  # noqa: B023, E731
-        least = value(best - begun)
-        there, left = value(np.zeros(len(y))) - least, value(new[r.task_id, r.block_id] - begun) - least
-        out[r.task_id] = max(out.get(r.task_id, 0.0), 0.0 if there <= 1e-12 else max(0.0, left / there))
-    return out
+    """``theta_frame`` as a dictionary, one number a task."""
+    return {r.task_id: r.theta for r in theta_frame(problem, state, after, relation, loss, sigma, passes).collect()}
+
+
+def subproblem_values(rows: DataFrame, loss: Loss) -> DataFrame:
+    """task_id, value of each task's local subproblem, inside the JVM. rows: blocks with xs, ys, alpha, delta, w, kappa, sigma."""
+    points = rows.select("task_id", "w", (F.col("kappa") * F.col("sigma")).alias("curve"), F.explode(F.arrays_zip("xs", "ys", "alpha", "delta")).alias("p"))
+    points = points.select("task_id", "w", "curve", F.col("p.xs").alias("x"), F.col("p.ys").alias("y"), F.col("p.alpha").alias("a"), F.col("p.delta").alias("d"))
+    linear = loss.conjugate_column(F.col("a") + F.col("d"), F.col("y")) + F.col("d") * dot("x", "w")
+    sums = points.groupBy("task_id").agg(F.sum(linear).alias("linear"), F.max("curve").alias("curve"))
+    moved = vector_sum(points.select("task_id", F.transform("x", lambda v: v * F.col("d")).alias("xd")), ["task_id"], "xd")
+    return sums.join(moved, "task_id").select("task_id", (F.col("linear") + 0.5 * F.col("curve") * norm2("xd")).alias("value"))
 
 
 def assumption_report(log: DataFrame) -> DataFrame:
@@ -123,7 +143,3 @@ def straggler_report(log: DataFrame) -> DataFrame:
 
 def communication(log: DataFrame) -> DataFrame:
     return log.groupBy("run").agg(F.sum("comm_elems").alias("comm_elems"), F.sum("flops").alias("flops"), F.max("round").alias("last_round"))
-
-
-def gap_certificate(loss: Loss, x: np.ndarray, y: np.ndarray, alpha: np.ndarray, u: np.ndarray) -> float:
-    return local_gap(loss, x, y, alpha, u)

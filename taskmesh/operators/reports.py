@@ -32,7 +32,7 @@ def hardest_tasks(errors: DataFrame, k: int = 10) -> DataFrame:
 
 
 def pivot_errors(errors: DataFrame, models: list[str]) -> DataFrame:
-    """task_id by model; models are named, so the plan needs no extra pass."""
+    """task_id by model, errors as they are; models are named, so the plan needs no extra pass."""
     return errors.groupBy("task_id").pivot("model", models).agg(F.first("error"))
 
 
@@ -81,4 +81,4 @@ def predict(points: DataFrame, weights: DataFrame, clusters: DataFrame | None =
 
 def one_vs_rest(scores: DataFrame) -> DataFrame:
     """scores: row_id, class, z. The class with the greatest z (ties: the first by name)."""
-    return scores.groupBy("row_id").agg(F.max_by("class", F.struct("z", F.struct(-F.ascii("class")))).alias("class"))
+    return scores.groupBy("row_id").agg(F.min_by("class", F.struct(-F.col("z"), F.col("class"))).alias("class"))

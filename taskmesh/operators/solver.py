@@ -22,7 +22,7 @@ from taskmesh.operators.local import arrow_pass
 from taskmesh.operators.losses import Loss
 from taskmesh.operators.policies import NO_LIMIT, WorkBudget
 from taskmesh.operators.relations import Relation
-from taskmesh.sources import materialise
+from taskmesh.sources import discard, materialise
 
 #: Numbers (tasks times features) that may be on the driver at once; beyond, use ``relations.mix_frame``.
 DRIVER_CELLS = 10_000_000
@@ -67,6 +67,7 @@ class State:
 
     v: np.ndarray
     duals: DataFrame | None = None
+    stored: DataFrame | None = None  # the table of the round that duals are a part of
 
 
 @dataclass
@@ -142,7 +143,7 @@ def run_round(
     primal += relation.penalty(w)
     dual += relation.conjugate(state.v)
     history = {"run": run, "outer": outer, "round": round_, "primal": primal, "dual": dual, "gap": primal + dual}
-    return State(state.v + dv, done.select("task_id", "block_id", "alpha")), history, log
+    return State(state.v + dv, done.select("task_id", "block_id", "alpha"), done), history, log
 
 
 def _reduced(done: DataFrame) -> DataFrame:
@@ -185,6 +186,8 @@ def update_weights(
             raise ArithmeticError(f"the dual rose in round {h - 1}: sigma is too small")
         if stop and stop.holds(history):
             break
+        if h and state.stored is not None:
+            discard(state.stored)  # a round of this run, which the next one has replaced
         state = new
         if average_from is not None and h >= average_from:
             total, counted = total + state.v, counted + 1

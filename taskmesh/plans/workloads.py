@@ -3,17 +3,21 @@
 from __future__ import annotations
 
 import math
+from collections.abc import Iterator
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from taskmesh.functions.draws import portable_uniform, uniform_for
 from taskmesh.functions.vectors import dot
-from taskmesh.operators.frames import assemble, binarize
+from taskmesh.operators.frames import binarize, filter_tasks, one_hot, standardize
 from taskmesh.sources import load
 
 LETTERS = "abcdefghijklmnopqrstuvwxyz"
 LANGUAGES = ("de", "en", "es", "fr")
+SEGMENTS = ("AUTOMOBILE", "BUILDING", "FURNITURE", "HOUSEHOLD", "MACHINERY")
 
 
 def planted_vectors(spark: SparkSession, tasks: list[int], groups: list[int], d: int, own: float = 0.3, seed: int = 0) -> DataFrame:
@@ -50,21 +54,38 @@ def letter_shares(text: Column) -> list[Column]:
     return [(F.length(low) - F.length(F.replace(low, F.lit(c), F.lit("")))) / letters for c in LETTERS]
 
 
-def hash_text(text: Column, buckets: int, n: int = 2) -> Column:
-    """Shares of hashed character n-grams, as an array of ``buckets``."""
-    low = F.lower(F.coalesce(text, F.lit("")))
-    count = F.greatest(F.length(low) - n + 1, F.lit(0))
-    grams = F.when(count > 0, F.transform(F.sequence(F.lit(1), count), lambda i: F.pmod(F.crc32(F.substring(low, i, F.lit(n)).cast("binary")), F.lit(buckets)).cast("int"))).otherwise(F.array().cast("array<int>"))
-    bags = F.aggregate(grams, F.array_repeat(F.lit(0.0), buckets), lambda s, g: F.transform(s, lambda v, k: v + (k == g).cast("double")))
-    return F.transform(bags, lambda v: v / F.greatest(count, F.lit(1)))
+def hash_text(df: DataFrame, text: str = "text", buckets: int = 256, n: int = 2, out: str = "grams") -> DataFrame:
+    """df and shares of hashed character n-grams of the lower-cased text, as an array of ``buckets``. A gram's bucket is the
+    polynomial of its code points in 31, modulo ``buckets``. Whole texts, one pass over the characters, no shuffle."""
+    from pyspark.sql import types as T
 
+    plain = df.withColumn("_low", F.lower(F.coalesce(F.col(text), F.lit(""))))
 
-def doc_language_tasks(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Sources predict a language of their own against the rest, from letters: a real signal, another target in each of four groups."""
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            shares = []
+            for low in b.column("_low").to_pylist():
+                code = np.frombuffer(low.encode("utf-32-le", "replace"), np.uint32).astype(np.int64)
+                grams = max(0, len(code) - n + 1)
+                key = np.zeros(grams, np.int64)
+                for k in range(n):
+                    key = (key * 31 + code[k : k + grams]) % buckets
+                shares.append(np.bincount(key, minlength=buckets) / max(1, grams))
+            kept = [c for c in b.schema.names if c != "_low"]
+            yield pa.RecordBatch.from_arrays([*[b.column(c) for c in kept], pa.array(shares, pa.list_(pa.float64()))], [*kept, out])
+
+    schema = T.StructType([*[f for f in plain.schema.fields if f.name != "_low"], T.StructField(out, T.ArrayType(T.DoubleType()))])
+    return plain.mapInArrow(run, schema)
+
+
+def doc_language_tasks(spark: SparkSession, sf_dir: str, buckets: int = 256) -> DataFrame:
+    """Sources predict a language of their own against the rest, from letters and hashed pairs of letters: a real signal, another
+    target in each of four groups."""
     docs = load(spark, sf_dir, "documents", ["doc_id", "text", "lang", "source", "n_chars"]).where("text IS NOT NULL")
     task = source_number(F.col("source"))
     positive = F.element_at(F.array(*[F.lit(c) for c in LANGUAGES]), (F.pmod(task, F.lit(4)) + 1).cast("int"))
-    features = F.array(*letter_shares(F.col("text")), F.log1p("n_chars") / 10.0, F.lit(1.0))
+    docs = hash_text(docs, buckets=buckets)
+    features = F.concat(F.array(*letter_shares(F.col("text"))), F.col("grams"), F.array(F.log1p("n_chars") / 10.0, F.lit(1.0)))
     return docs.select(task.alias("task_id"), F.col("doc_id").alias("row_id"), features.alias("features"), F.when(F.col("lang") == positive, 1.0).otherwise(-1.0).alias("label"))
 
 
@@ -87,43 +108,57 @@ def doc_quality_tasks(spark: SparkSession, sf_dir: str, by: str = "lang", target
     return joined.select(task.alias("task_id"), F.col("doc_id").alias("row_id"), F.array(*text_statistics(F.col("text")), F.lit(1.0)).alias("features"), binarize(target, 1).alias("label"))
 
 
-def event_window_tasks(spark: SparkSession, sf_dir: str, size: str = "2 days", slide: str = "1 day") -> DataFrame:
-    """Users' sliding windows: statistics of values, shares of types, gaps, hours and a small spectrum; label: a purchase in the window."""
+EVENT_TYPES = ("click", "view", "signup", "error", "purchase")
+
+
+def event_window_tasks(spark: SparkSession, sf_dir: str, size: str = "2 days", slide: str = "1 day", planted: bool = False) -> DataFrame:
+    """Users' sliding windows: statistics of values, shares of types, gaps, hours and a small spectrum, 40 numbers; label: a purchase
+    in the window, or planted in three groups of users on standardized features."""
     events = load(spark, sf_dir, "events").withColumn("ts", F.col("ts").cast("timestamp"))
     k = F.from_json("props", "k int")["k"]
     angle = F.hour("ts") * (2 * math.pi / 24)
     gap = F.unix_micros("ts") / 1e6 - F.lag(F.unix_micros("ts") / 1e6).over(Window.partitionBy("user_id").orderBy("ts", "event_id"))
     base = events.withColumn("k", k).withColumn("gap", gap).withColumn("eighth", F.floor(F.hour("ts") / 3)).withColumn("before", F.lag("value").over(Window.partitionBy("user_id").orderBy("ts", "event_id")))
-    types = ("click", "view", "login", "logout", "purchase")
+    types = EVENT_TYPES
     stats = base.groupBy("user_id", F.window("ts", size, slide).alias("w")).agg(
         F.count("*").alias("n"), F.avg("value").alias("mean"), F.coalesce(F.stddev_pop("value"), F.lit(0.0)).alias("sd"), F.min("value").alias("least"), F.max("value").alias("most"),
         F.expr("percentile(value, array(0.25, 0.5, 0.75))").alias("q"), F.avg(F.col("value") * F.col("value")).alias("energy"), F.coalesce(F.try_divide(F.covar_pop("value", "before"), F.stddev_pop("value") * F.stddev_pop("before")), F.lit(0.0)).alias("lag1"),
-        F.coalesce(F.avg("gap"), F.lit(0.0)).alias("gap"), F.coalesce(F.avg("k"), F.lit(0.0)).alias("k"), F.avg(F.sin(angle)).alias("s"), F.avg(F.cos(angle)).alias("c"),
+        F.coalesce(F.avg("gap"), F.lit(0.0)).alias("gap"), F.coalesce(F.max("gap"), F.lit(0.0)).alias("most_gap"), F.coalesce(F.min("gap"), F.lit(0.0)).alias("least_gap"),
+        F.coalesce(F.avg("k"), F.lit(0.0)).alias("k"), F.coalesce(F.max("k"), F.lit(0)).alias("most_k"), F.coalesce(F.min("k"), F.lit(0)).alias("least_k"),
+        F.avg(F.pow("value", F.lit(3.0))).alias("third"), F.coalesce(F.avg(F.abs(F.col("value") - F.col("before"))), F.lit(0.0)).alias("change"), F.countDistinct("eighth").alias("eighths"), F.avg(F.sin(angle)).alias("s"), F.avg(F.cos(angle)).alias("c"),
         *[F.avg((F.col("event_type") == t).cast("double")).alias(f"is_{t}") for t in types], *[F.sum(F.when(F.col("eighth") == e, F.col("value")).otherwise(0.0)).alias(f"e{e}") for e in range(8)],
     )
     spectrum = [
         F.sqrt(F.pow(sum((F.col(f"e{e}") * math.cos(2 * math.pi * f * e / 8) for e in range(8)), F.lit(0.0)), 2) + F.pow(sum((F.col(f"e{e}") * math.sin(2 * math.pi * f * e / 8) for e in range(8)), F.lit(0.0)), 2)) / 1000.0
         for f in range(5)
     ]
-    columns = [F.col("n") / 10.0, *[F.col(c) / 100.0 for c in ("mean", "sd", "least", "most")], *[F.col("q")[i] / 100.0 for i in range(3)], F.col("energy") / 1e4, F.col("lag1"), F.col("gap") / 86400.0, F.col("k") / 100.0, F.col("s"), F.col("c"), *[F.col(f"is_{t}") for t in types[:-1]], *spectrum, F.lit(1.0)]
-    return stats.select(F.col("user_id").alias("task_id"), F.unix_seconds("w.start").alias("row_id"), F.array(*columns).alias("features"), F.when(F.col("is_purchase") > 0, 1.0).otherwise(-1.0).alias("label"))
+    columns = [F.col("n") / 10.0, *[F.col(c) / 100.0 for c in ("mean", "sd", "least", "most")], *[F.col("q")[i] / 100.0 for i in range(3)], F.col("energy") / 1e4, F.col("lag1"), F.col("gap") / 86400.0, F.col("k") / 100.0, F.col("s"), F.col("c"), *[F.col(f"is_{t}") for t in types[:-1]], *spectrum,
+               F.col("most_gap") / 86400.0, F.col("least_gap") / 86400.0, F.col("most_k") / 100.0, F.col("least_k") / 100.0, F.col("third") / 1e6, F.col("change") / 100.0, F.col("eighths") / 8.0,
+               (F.col("most") - F.col("least")) / 100.0, *[F.col(f"e{e}") / 1000.0 for e in range(8)], F.lit(1.0)]
+    out = stats.select(F.col("user_id").alias("task_id"), F.unix_seconds("w.start").alias("row_id"), F.array(*columns).alias("features"), F.when(F.col("is_purchase") > 0, 1.0).otherwise(-1.0).alias("label"))
+    if not planted:
+        return out
+    users = sorted(r.user_id for r in events.select("user_id").distinct().collect())  # a row a task
+    return plant(standardize(out, None), planted_vectors(spark, users, [u % 3 for u in users], len(columns)))
 
 
 def _orders(spark: SparkSession, sf_dir: str) -> DataFrame:
     orders = load(spark, sf_dir, "orders").join(load(spark, sf_dir, "customer"), F.col("o_custkey") == F.col("c_custkey"))
     month = F.month("o_orderdate") * (2 * math.pi / 12)
-    one_hot = [(F.substring("o_orderpriority", 1, 1) == str(p)).cast("double") for p in range(1, 6)]
-    segments = [(F.col("c_mktsegment") == s).cast("double") for s in ("AUTOMOBILE", "BUILDING", "FURNITURE", "HOUSEHOLD", "MACHINERY")]
-    x = F.array(F.log1p("o_totalprice") / 10.0, *one_hot, F.sin(month), F.cos(month), F.dayofweek("o_orderdate") / 7.0, F.col("c_acctbal") / 10000.0, *segments, F.lit(1.0))
+    priorities = one_hot(F.substring("o_orderpriority", 1, 1), list("12345"))
+    segments = one_hot("c_mktsegment", list(SEGMENTS))
+    x = F.array(F.log1p("o_totalprice") / 10.0, *priorities, F.sin(month), F.cos(month), F.dayofweek("o_orderdate") / 7.0, F.col("c_acctbal") / 10000.0, *segments, F.lit(1.0))
     return orders.withColumn("features", x).withColumn("label", F.when(F.col("o_orderstatus") == "F", 1.0).otherwise(-1.0))
 
 
-def customer_tasks(spark: SparkSession, sf_dir: str, min_rows: int = 1) -> DataFrame:
-    """Orders by customer: many tasks of one to a few dozen points."""
+def customer_tasks(spark: SparkSession, sf_dir: str, min_rows: int = 1, planted: bool = False) -> DataFrame:
+    """Orders by customer: many tasks of one to a few dozen points. planted: one hyperplane for each market segment."""
     df = _orders(spark, sf_dir).select(F.col("o_custkey").alias("task_id"), F.col("o_orderkey").alias("row_id"), "features", "label")
-    if min_rows > 1:
-        df = df.withColumn("_n", F.count("*").over(Window.partitionBy("task_id"))).where(F.col("_n") >= min_rows).drop("_n")
-    return df
+    df = filter_tasks(df, min_rows) if min_rows > 1 else df
+    if not planted:
+        return df
+    known = {r.c_custkey: SEGMENTS.index(r.c_mktsegment) for r in load(spark, sf_dir, "customer", ["c_custkey", "c_mktsegment"]).collect()}  # a row a task
+    return plant(standardize(df, None), planted_vectors(spark, list(known), list(known.values()), 16))
 
 
 def nation_tasks(spark: SparkSession, sf_dir: str, planted: bool = True) -> DataFrame:
@@ -156,7 +191,7 @@ def host_tasks(spark: SparkSession, sf_dir: str) -> DataFrame:
     body = F.regexp_replace("html", "<[^>]*>", " ")
     x = F.array(*letter_shares(body), F.log1p(F.length("html")) / 10.0, F.length(F.regexp_replace("html", "[^<]", "")) / F.greatest(F.length("html"), F.lit(1)), F.lit(1.0))
     lang = F.regexp_extract("html", 'lang="([a-z]+)', 1)
-    return pages.select(F.crc32(host.cast("binary")).alias("task_id"), F.col("page_id").alias("row_id"), x.alias("features"), F.when(lang == "en", 1.0).otherwise(-1.0).alias("label"))
+    return pages.select(F.conv(F.substring(F.md5(host.cast("binary")), 1, 8), 16, 10).cast("long").alias("task_id"), F.col("page_id").alias("row_id"), x.alias("features"), F.when(lang == "en", 1.0).otherwise(-1.0).alias("label"))
 
 
 def conversation_tasks(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -173,4 +208,3 @@ WORKLOADS = {
     "nation": nation_tasks, "supplier": supplier_tasks, "host": host_tasks, "conversation": conversation_tasks,
 }
 
-__all__ = ["WORKLOADS", "assemble", *[f.__name__ for f in WORKLOADS.values()]]

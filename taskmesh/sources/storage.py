@@ -10,6 +10,7 @@ import atexit
 import os
 import tempfile
 import uuid
+import weakref
 import zipfile
 from pathlib import Path
 
@@ -23,6 +24,7 @@ TABLES = (
 _REPO = Path(__file__).resolve().parents[2]
 _folders: dict[str, str] = {}
 _shipped: set[str] = set()
+_stored: dict[int, str] = {}
 
 
 def load(spark: SparkSession, sf_dir: str, name: str, columns: list[str] | None = None) -> DataFrame:
@@ -44,6 +46,8 @@ def shared_dir(spark: SparkSession) -> str:
         root = spark.conf.get("spark.checkpoint.dir", None)
         if not root:
             current = spark.sparkContext._jsc.sc().getCheckpointDir()
+            if not current.isDefined() and not spark.sparkContext.master.startswith("local"):
+                raise RuntimeError("spark.checkpoint.dir is not set: on a cluster it must name a folder that every executor reaches")
             root = current.get() if current.isDefined() else f"file://{tempfile.mkdtemp(prefix='taskmesh-')}"
         _folders[app] = f"{root.rstrip('/')}/taskmesh-{uuid.uuid4().hex[:12]}"
         atexit.register(_remove, spark, _folders[app])
@@ -63,7 +67,17 @@ def materialise(df: DataFrame, name: str) -> DataFrame:
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex[:8]}"
     df.write.option("compression", "zstd").parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    out = spark.read.schema(df.schema).parquet(path)
+    _stored[id(out)] = path
+    weakref.finalize(out, _stored.pop, id(out), None)
+    return out
+
+
+def discard(df: DataFrame) -> None:
+    """Removes the files of a table that ``materialise`` stored, when nothing reads it any more."""
+    path = _stored.pop(id(df), None)
+    if path:
+        _remove(df.sparkSession, path)
 
 
 def ship_package(spark: SparkSession) -> None:

@@ -14,7 +14,7 @@ from taskmesh.functions.vectors import dot, norm2
 from taskmesh.operators.local import _rows, block_arrays, solve_block, subproblem
 from taskmesh.operators.losses import Loss
 from taskmesh.operators.relations import Relation
-from taskmesh.operators.solver import Problem, State, attach
+from taskmesh.operators.solver import Problem, State, attach, measure
 from taskmesh.operators.vector_aggregates import vector_sum
 
 NETWORKS = {"wifi": 10.0, "lte": 100.0, "3g": 1000.0}
@@ -47,6 +47,12 @@ def primal_objective(points: DataFrame, weights: DataFrame, relation: Relation,
     return total + relation.penalty(np.array([by_task[t] for t in order]))
 
 
+def optimality(problem: Problem, state: State, relation: Relation, loss: Loss) -> DataFrame:
+    """primal, dual and gap of a state: its sums over points are one aggregate, the relation's parts one number each."""
+    entry = measure(problem, state, relation, loss)
+    return problem.spark.createDataFrame([(entry["primal"], entry["dual"], entry["gap"])], "primal double, dual double, gap double")
+
+
 def theta_frame(problem: Problem, state: State, after: State, relation: Relation, loss: Loss, sigma: np.ndarray, passes: int = 300) -> DataFrame:
     """task_id, theta of each task's last change: what is left of the local subproblem over what there was; 0 / 0 is 0, and the
     worst block counts. Each block's subproblem is solved nearly exactly where the block is, so it is for probing only."""

@@ -1,154 +1,111 @@
-"""The experiments: model comparison, stragglers over networks, systems heterogeneity, dropped nodes, and a check of limits.
-
-Model comparison trains all penalties, folds and trials of a model at once: a configuration is a set of tasks of its own
-(an independent diagonal block), so one packed frame and one run of rounds fit them all.
-"""
+"""The experiments: model comparison, stragglers over networks, systems heterogeneity, dropped nodes, and a check of limits."""
 
 from __future__ import annotations
 
-import numpy as np
-from pyspark.sql import DataFrame, Window
+import math
+from dataclasses import dataclass, field
+
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from taskmesh.functions.draws import portable_uniform
-from taskmesh.operators import frames, policies
-from taskmesh.operators.baselines import fixed_accuracy, minibatch_sdca, minibatch_sgd
+from taskmesh.operators import batched, policies
+from taskmesh.operators.baselines import fixed_accuracy, minibatch_sdca, minibatch_sgd, tune
 from taskmesh.operators.losses import Hinge, Loss
-from taskmesh.operators.measures import NETWORKS, curve, mean_task_error, simulated_time, task_error
-from taskmesh.operators.relations import ClusterRelation, Relation, kmeans_tasks
-from taskmesh.operators.solver import FitResult, Problem, State, prepare, update_weights
+from taskmesh.operators.measures import NETWORKS, curve, simulated_time
+from taskmesh.operators.relations import ClusterRelation, IndependentRelation, Relation
+from taskmesh.operators.solver import FitResult, Problem, StopRule, fit_multitask, update_weights
 
 LAMBDAS = (1e-5, 1e-4, 1e-3, 1e-2, 0.1, 1.0, 10.0)
+DROPS = (0.0, 0.1, 0.25, 0.5, 0.75, 0.9)
 
 
-class ConfiguredRelation(Relation):
-    """One relation per configuration, over the tasks of that configuration: block diagonal, so everything is by block."""
-
-    def __init__(self, of: np.ndarray, relations: dict[int, Relation]) -> None:
-        object.__setattr__(self, "of", of)
-        object.__setattr__(self, "relations", relations)
-
-    def _each(self):
-        return ((c, np.flatnonzero(self.of == c), r) for c, r in self.relations.items())
+@dataclass(frozen=True)
+class FirstIndependent(IndependentRelation):
+    """The first step of an alternation: no relation yet; the weights then say which one follows."""
 
-    def kappa(self, m):
-        out = np.zeros(m)
-        for _, at, r in self._each():
-            out[at] = r.kappa(len(at))
-        return out
-
-    def mix(self, v):
-        out = np.zeros_like(v)
-        for _, at, r in self._each():
-            out[at] = r.mix(v[at])
-        return out
-
-    def sigma(self, m, rule="spectral", gamma=1.0):
-        out = np.ones(m)
-        for _, at, r in self._each():
-            out[at] = r.sigma(len(at), rule, gamma)
-        return out
-
-    def penalty(self, w):
-        return sum(r.penalty(w[at]) for _, at, r in self._each())
+    then: Relation = field(default_factory=ClusterRelation)
 
     def update(self, w):
-        return ConfiguredRelation(self.of, {c: r.update(w[at]) for c, at, r in self._each()})
-
-
-def _configs(trials: int, folds: int, lambdas: tuple[float, ...]) -> list[tuple[int, int, int, float]]:
-    """config_id, trial, fold (folds: the refit on all training rows), lambda."""
-    out = []
-    for trial in range(trials):
-        for fold in range(folds + 1):
-            out += [(len(out) + k, trial, fold, lam) for k, lam in enumerate(lambdas)]
-    return out
+        return self.then.update(w)
 
 
 def compare_models(
-    tasks: DataFrame, lambdas: tuple[float, ...] = LAMBDAS, folds: int = 5, trials: int = 10, clusters: int = 3, rounds: int = 6, passes: float = 2.0, loss: Loss | None = None, seed: int = 0,
+    tasks: DataFrame, lambdas: tuple[float, ...] = LAMBDAS, folds: int = 5, trials: int = 10, clusters: int = 3, outer: int = 3, rounds: int = 4, passes: int = 2, loss: Loss | None = None, seed: int = 0,
     models: tuple[str, ...] = ("global", "local", "multitask"),
 ) -> DataFrame:
     """model, trial, lam, error: the test error, averaged over tasks, of the model with the penalty that cross-validation picks
-    (ties: the larger). Rows that are not in a configuration's training part are its validation or test part."""
-    loss = loss or Hinge()
-    spark = tasks.sparkSession
-    configs = _configs(trials, folds, lambdas)
-    trial_rows = spark.range(trials).select(F.col("id").cast("int").alias("trial"))
-    # Split and folds of all trials in one pass over the rows.
-    draws = tasks.crossJoin(F.broadcast(trial_rows)).withColumn("_u", portable_uniform("split", seed, F.col("trial"), F.col("task_id"), F.col("row_id")))
-    by = Window.partitionBy("trial", "task_id")
-    placed = draws.withColumn("_r", F.row_number().over(by.orderBy("_u", "row_id"))).withColumn("_train", F.ceil(F.count("*").over(by) * 0.75))
-    placed = placed.withColumn("part", F.when(F.col("_r") > F.col("_train"), F.lit(-1)).otherwise(F.pmod(F.col("_r"), F.lit(folds)).cast("int"))).drop("_u", "_r", "_train")
-    from taskmesh.sources import materialise
-
-    placed = materialise(placed, "placed")
-    config_frame = spark.createDataFrame(configs, "config_id int, trial int, fold int, lam double")
-    # A configuration trains on a trial's training rows without its fold, and is tested on its fold, or on the test rows.
-    joined = placed.join(F.broadcast(config_frame), "trial")
-    results = []
-    for model in models:
-        task = F.lit(0).cast("long") if model == "global" else F.col("task_id")
-        keyed = joined.select((F.shiftleft(F.col("config_id").cast("long"), 32) + task).alias("task_id"), F.col("task_id").alias("base_task"), "config_id", "fold", "part", "features", "label",
-                              (F.col("task_id") * 1_000_003 + F.col("row_id")).alias("row_id"))
-        train = keyed.where((F.col("part") >= 0) & (F.col("part") != F.col("fold")))
-        held = keyed.where(F.when(F.col("fold") == folds, F.col("part") == -1).otherwise(F.col("part") == F.col("fold")))
-        problem = prepare(frames.pack(train))
-        of = np.array([t >> 32 for t in problem.tasks])
-        lam = {c[0]: c[3] for c in configs}
-        if model == "multitask":
-            # Half of the rounds without a relation, to see how tasks group; then with the learned clusters.
-            start = ConfiguredRelation(of, {c: ClusterRelation(lam1=lam[c], lam2=0.1 * lam[c]) for c in sorted(set(of))})
-            first = update_weights(problem, start, loss, max(2, rounds // 2), policies.WorkBudget(passes=passes), monitor=False)
-            learned = {c: ClusterRelation(lam1=lam[c], lam2=0.1 * lam[c], clusters=tuple(kmeans_tasks(first.weights[of == c], clusters, 3, seed))) for c in sorted(set(of))}
-            fit = _fit_configs(problem, ConfiguredRelation(of, learned), loss, rounds, passes, first.state)
-        else:
-            from taskmesh.operators.relations import IndependentRelation
-
-            fit = _fit_configs(problem, ConfiguredRelation(of, {c: IndependentRelation(lam2=lam[c]) for c in sorted(set(of))}), loss, rounds, passes)
-        errors = task_error(held.select("task_id", "base_task", "config_id", "features", "label"), fit.weights_frame())
-        if model == "global":
-            z = held.join(fit.weights_frame(), "task_id")
-            from taskmesh.functions.vectors import dot
-
-            wrong = (F.when(dot("features", "w") >= 0, 1.0).otherwise(-1.0) != F.col("label")).cast("double")
-            errors = z.groupBy("config_id", "base_task").agg(F.avg(wrong).alias("error"))
-        else:
-            errors = errors.withColumn("config_id", F.shiftright("task_id", 32).cast("int"))
-        per_config = errors.groupBy("config_id").agg(F.avg("error").alias("error"))
-        results.append(per_config.join(F.broadcast(config_frame), "config_id").withColumn("model", F.lit(model)))
-        problem.packed.unpersist()
-    scored = results[0]
-    for r in results[1:]:
-        scored = scored.unionByName(r)
-    scored = materialise(scored, "scored")
-    validated = scored.where(F.col("fold") < folds).groupBy("model", "trial", "lam").agg(F.avg("error").alias("cv"))
-    chosen = validated.groupBy("model", "trial").agg(F.min_by("lam", F.struct("cv", -F.col("lam"))).alias("lam"))
-    return scored.where(F.col("fold") == folds).join(chosen, ["model", "trial", "lam"]).select("model", "trial", "lam", "error")
-
-
-def _fit_configs(problem: Problem, relation: ConfiguredRelation, loss: Loss, rounds: int, passes: float, state: State | None = None) -> FitResult:
-    return update_weights(problem, relation, loss, rounds, policies.WorkBudget(passes=passes), state=state, monitor=False)
+    (ties: the larger). Each trial splits every task anew, 75 to 25, and its training rows into folds; all of a model's penalties,
+    folds and trials train together. One penalty is searched: the multi-task model has lam between tasks and a tenth of it on
+    all weights, and learns ``clusters`` groups between its outer steps."""
+
+    def multitask(lam: float, m: int) -> Relation:
+        return FirstIndependent(lam2=1.1 * lam, then=ClusterRelation(lam1=lam, lam2=0.1 * lam, k=clusters, starts=3, seed=seed))
+
+    alone = lambda lam, m: IndependentRelation(lam2=lam)
+    known = {"global": (True, False, alone), "local": (False, False, alone), "multitask": (False, True, multitask)}
+    return batched.compare(tasks, {name: known[name] for name in models}, lambdas, folds, trials, loss or Hinge(), outer, rounds, passes, seed)
 
 
 def long_run(problem: Problem, relation: Relation, loss: Loss, gap: float = 1e-6, rounds: int = 60) -> FitResult:
     """The reference optimum: rounds with full local work until the gap is small."""
-    from taskmesh.operators.solver import StopRule
-
     return update_weights(problem, relation, loss, rounds, policies.WorkBudget(passes=10), stop=StopRule(gap))
 
 
-def straggler_curves(problem: Problem, relation: Relation, loss: Loss, rounds: int = 10, networks: dict[str, float] | None = None, best: float | None = None) -> DataFrame:
-    """network, run, round, sim_time, suboptimality of the primal: elastic and fixed accuracy, mini-batch SDCA and SGD."""
+def _best(problem: Problem, relation: Relation, loss: Loss) -> float:
+    return -long_run(problem, relation, loss, rounds=30).history[-1]["dual"]
+
+
+def driver_times(fit: FitResult, rho: float) -> dict[int, float]:
+    """Simulated time after each round of a run, from its log on the driver (a row a task and round)."""
+    cost: dict[int, float] = {}
+    for r in fit.round_log:
+        cost[r["round"]] = max(cost.get(r["round"], 0.0), r["flops"] + rho * r["comm_elems"])
+    out, total = {}, 0.0
+    for h in sorted(cost):
+        total += cost[h]
+        out[h] = total
+    return out
+
+
+def time_to(fit: FitResult, rho: float, best: float, epsilon: float) -> float:
+    """Simulated time until the primal is within epsilon of the optimum; never: later than all that reach it, by what is left."""
+    times = driver_times(fit, rho)
+    for h in fit.history:
+        if h["primal"] - best <= epsilon:
+            return times.get(h["round"] - 1, 0.0)
+    return 1e30 * (1.0 + min(1e6, min((h["primal"] for h in fit.history if math.isfinite(h["primal"])), default=1e6) - best))
+
+
+def candidates(problem: Problem, relation: Relation, loss: Loss, rounds: int) -> dict[str, dict[str, FitResult]]:
+    """Runs of every method over its own grid: work, accuracy, batch and scale, batch and step. One run serves all networks."""
     least = int(problem.points.min())
-    fits = {
-        "elastic": update_weights(problem, relation, loss, rounds, policies.WorkBudget(steps=2 * least), run="elastic"),
-        "fixed": fixed_accuracy(problem, relation, loss, 0.1, rounds, run="fixed"),
-        "sdca": minibatch_sdca(problem, relation, loss, batch=max(1, least // 2), scale=2.0, rounds=rounds, run="sdca"),
-        "sgd": minibatch_sgd(problem, relation, loss, batch=max(1, least // 2), eta=0.02, rounds=rounds, run="sgd"),
-    }
-    best = best if best is not None else -long_run(problem, relation, loss, rounds=30).history[-1]["dual"]
-    return _curves(list(fits.values()), networks or NETWORKS, best)
+    batches = sorted({max(1, least // 2), max(1, least)})
+    out: dict[str, dict[str, FitResult]] = {"elastic": {}, "fixed": {}, "sdca": {}, "sgd": {}}
+    for times in (1, 4):
+        out["elastic"][f"steps={times * least}"] = update_weights(problem, relation, loss, rounds, policies.WorkBudget(steps=times * least), run="elastic")
+    for theta in (0.5, 0.1):
+        out["fixed"][f"theta={theta}"] = fixed_accuracy(problem, relation, loss, theta, rounds, run="fixed")
+    for batch in batches:
+        for scale in sorted({min(2.0, batch), max(1.0, batch / 4)}):
+            out["sdca"][f"batch={batch} scale={scale}"] = minibatch_sdca(problem, relation, loss, batch=batch, scale=scale, rounds=rounds, run="sdca")
+        for eta in (0.05, 0.01, 0.002):
+            out["sgd"][f"batch={batch} eta={eta}"] = minibatch_sgd(problem, relation, loss, batch=batch, eta=eta, rounds=rounds, run="sgd")
+    return out
+
+
+def straggler_curves(problem: Problem, relation: Relation, loss: Loss, rounds: int = 10, networks: dict[str, float] | None = None, best: float | None = None, reach: float = 0.2) -> DataFrame:
+    """network, run, setting, round, sim_time, suboptimality of the primal: elastic and fixed accuracy, mini-batch SDCA and SGD, each
+    with the setting that first comes within ``reach`` of the start's suboptimality on that network."""
+    best = best if best is not None else _best(problem, relation, loss)
+    found = candidates(problem, relation, loss, rounds)
+    start = next(iter(found["elastic"].values())).history[0]["primal"] - best
+    out = None
+    for network, rho in (networks or NETWORKS).items():
+        for runs in found.values():
+            name, fit, _ = tune({n: (lambda f=f: f) for n, f in runs.items()}, lambda f, rho=rho: time_to(f, rho, best, reach * start))
+            one = curve(fit.history_frame(), simulated_time(fit.log_frame(), rho), best).withColumn("network", F.lit(network)).withColumn("setting", F.lit(name))
+            out = one if out is None else out.unionByName(one)
+    return out
 
 
 def _curves(fits: list[FitResult], networks: dict[str, float], best: float, profile: DataFrame | None = None) -> DataFrame:
@@ -163,34 +120,34 @@ def _curves(fits: list[FitResult], networks: dict[str, float], best: float, prof
     return out
 
 
-def heterogeneity_curves(problem: Problem, relation: Relation, loss: Loss, rounds: int = 10, best: float | None = None, rho: float = 100.0) -> DataFrame:
-    """High and low variability of local work, elastic solver and mini-batch SDCA."""
-    best = best if best is not None else -long_run(problem, relation, loss, rounds=30).history[-1]["dual"]
-    fits = []
+def heterogeneity_curves(problem: Problem, relation: Relation, loss: Loss, rounds: int = 10, best: float | None = None, rho: float = 100.0, eta: float = 0.01) -> DataFrame:
+    """High and low variability of local work: the elastic solver, mini-batch SDCA and SGD; fixed accuracy, which does not vary, beside."""
+    best = best if best is not None else _best(problem, relation, loss)
+    batch = int(problem.points.min())
+    fits = [fixed_accuracy(problem, relation, loss, 0.1, rounds, run="fixed")]
     for level in ("high", "low"):
         policy = policies.Heterogeneity(level)
         fits.append(update_weights(problem, relation, loss, rounds, policy, run=f"elastic_{level}"))
-        fits.append(minibatch_sdca(problem, relation, loss, batch=int(problem.points.min()), scale=2.0, rounds=rounds, policy=policy, run=f"sdca_{level}"))
+        fits.append(minibatch_sdca(problem, relation, loss, batch=batch, scale=2.0, rounds=rounds, policy=policy, run=f"sdca_{level}"))
+        fits.append(minibatch_sgd(problem, relation, loss, batch=batch, eta=eta, rounds=rounds, policy=policy, run=f"sgd_{level}"))
     return _curves(fits, {"lte": rho}, best)
 
 
-def drop_curves(problem: Problem, relation: Relation, loss: Loss, ps: tuple[float, ...] = (0.0, 0.25, 0.5, 0.75), silent: tuple[int, ...] = (), rounds: int = 10, outer: int = 1, best: float | None = None) -> DataFrame:
-    """Suboptimality of the dual by round for drop probabilities, and for nodes that never send."""
-    from taskmesh.operators.solver import fit_multitask
-
-    work = policies.WorkBudget(passes=2)
+def drop_curves(
+    problem: Problem, relation: Relation, loss: Loss, ps: tuple[float, ...] = DROPS, silent: tuple[int, ...] = (), rounds: int = 10, outer: int = 1, passes: float = 2.0, best: float | None = None
+) -> DataFrame:
+    """run, outer, round, suboptimality, primal, gap for drop probabilities, and for nodes that never send. outer: 1 for a single
+    update of the weights, whose suboptimality is the dual's; more for the whole alternation, whose suboptimality is that of the
+    primal at the end of the run without drops, since its relation changes on the way."""
+    work = policies.WorkBudget(passes=passes)
     cases = {f"p={p}": policies.compose(work, policies.DropPolicy(p)) if p else work for p in ps}
     if silent:
         cases["silent"] = policies.compose(work, policies.NeverSends(silent))
-    fits = [
-        update_weights(problem, relation, loss, rounds, policy, run=name) if outer == 1 else fit_multitask(problem, relation, loss, outer, rounds, policy, run=name) for name, policy in cases.items()
-    ]
-    best = best if best is not None else long_run(problem, relation, loss, rounds=30).history[-1]["dual"]
-    history = fits[0].history_frame()
-    for f in fits[1:]:
-        history = history.unionByName(f.history_frame())
-    return history.select("run", "outer", "round", (F.col("dual") - best).alias("suboptimality"), "primal", "gap")
-
-
-def model_errors(points: DataFrame, fit: FitResult) -> DataFrame:
-    return mean_task_error(task_error(points, fit.weights_frame()))
+    fits = {name: update_weights(problem, relation, loss, rounds, policy, run=name) if outer == 1 else fit_multitask(problem, relation, loss, outer, rounds, policy, run=name) for name, policy in cases.items()}
+    column = "dual" if outer == 1 else "primal"
+    if best is None:
+        best = long_run(problem, relation, loss, rounds=30).history[-1]["dual"] if outer == 1 else next(iter(fits.values())).history[-1]["primal"]
+    history = None
+    for f in fits.values():
+        history = f.history_frame() if history is None else history.unionByName(f.history_frame())
+    return history.select("run", "outer", "round", (F.col(column) - best).alias("suboptimality"), "primal", "gap")

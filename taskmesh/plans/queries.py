@@ -8,19 +8,21 @@ import numpy as np
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from taskmesh.functions.draws import portable_uniform
-from taskmesh.functions.vectors import dot, norm2
+from taskmesh.functions.draws import portable_uniform, uniform_for
+from taskmesh.functions.vectors import norm2
 from taskmesh.operators import frames, joins, measures, policies
 from taskmesh.operators.local import arrow_pass, expression_pass
 from taskmesh.operators.losses import Absolute, Hinge, Logistic, Loss, SmoothHinge, Squared
-from taskmesh.operators.relations import ClusterRelation, CovarianceRelation, IndependentRelation, Relation, mix_frame
-from taskmesh.operators.solver import FitResult, State, fit_multitask, prepare, update_weights
-from taskmesh.operators.vector_aggregates import feature_moments, gram, vector_mean, vector_sum
+from taskmesh.operators.relations import (
+    ClusterRelation, ConvexClusterRelation, CovarianceRelation, DenseRelation, GraphRelation, IndependentRelation, MeanRelation, Relation, SparsePrecisionRelation, SpectralClusterRelation, mix_frame,
+)
+from taskmesh.operators.solver import FitResult, State, attach, fit_multitask, prepare, run_round, update_weights, vectors_frame
+from taskmesh.operators.vector_aggregates import gram, vector_mean, vector_sum
 from taskmesh.plans import experiments, workloads
-from taskmesh.sources import load, materialise
+from taskmesh.sources import load
 
 Query = Callable[[SparkSession, str], DataFrame]
-M, D = 20, 4
+M, D = 20, 64
 LAM1, LAM2 = 1.0, 0.5
 
 
@@ -29,7 +31,7 @@ def r6(c) -> F.Column:
 
 
 def small_sensor(spark: SparkSession, d: str) -> DataFrame:
-    """20 sensors, four coordinates, the natural label: small enough for recursive SQL."""
+    """20 sensors, all coordinates, the natural label; without a bias, as SQL reads them."""
     return workloads.sensor_tasks(spark, d, M, D, planted=False)
 
 
@@ -106,8 +108,8 @@ def planted_sensor_labels(spark, d):
 
 
 def hash_text_features(spark, d):
-    docs = load(spark, d, "benchmark", ["item_id", "text"])
-    return docs.select("item_id", F.posexplode(workloads.hash_text(F.col("text"), 8, 2)).alias("bucket", "share")).select("item_id", "bucket", r6(F.col("share")).alias("share"))
+    grams = workloads.hash_text(load(spark, d, "documents", ["doc_id", "text"]), buckets=256)
+    return grams.select("doc_id", F.posexplode("grams").alias("bucket", "share")).where("share > 0").select("doc_id", "bucket", r6(F.col("share")).alias("share"))
 
 
 # Relations -----------------------------------------------------------------------------------------------------------------
@@ -136,7 +138,7 @@ def mix_mean(spark, d):
 
 
 def mix_known_region(spark, d):
-    tasks = workloads.nation_tasks(spark, d, planted=False).select("task_id", F.transform(F.slice("features", 1, 4), lambda x: x * F.col("label")).alias("v"))
+    tasks = workloads.nation_tasks(spark, d, planted=False).select("task_id", F.transform("features", lambda x: x * F.col("label")).alias("v"))
     return _long(mix_frame(vector_sum(tasks, ["task_id"], "v"), workloads.nation_clusters(spark, d), LAM1, LAM2), "w")
 
 
@@ -183,7 +185,7 @@ def _local(loss: Loss, budget: int = 1 << 30) -> Query:
     """One pass inside the JVM; SQL does the same by recursion."""
 
     def query(spark: SparkSession, d: str) -> DataFrame:
-        rows = start_rows(spark, d, budget=budget).withColumn("s", expression_pass(loss, D))
+        rows = start_rows(spark, d, budget=budget).withColumn("s", expression_pass(loss))
         return rows.select("task_id", F.col("s.k").alias("steps"), F.posexplode("s.u").alias("coordinate", "u")).select("task_id", "steps", "coordinate", r6(F.col("u")).alias("u"))
 
     return query
@@ -205,6 +207,101 @@ def _rounds(rounds: int, relation: Callable[[], Relation], loss: Loss, **options
     return query
 
 
+def plain_rounds(spark, d):
+    """Two rounds of tasks without a relation, squared loss."""
+    return _rounds(2, lambda: IndependentRelation(lam2=LAM2), Squared(), sigma=1.0)(spark, d)
+
+
+def dropping_weights(spark, d):
+    """Weights after three rounds in which each node drops out with probability one half."""
+    return _rounds(3, small_relation, Hinge(), sigma=3.0, policy=policies.compose(policies.WorkBudget(passes=1), policies.DropPolicy(0.5)))(spark, d)
+
+
+def clock_round(spark, d):
+    """What each node can do before a deadline: steps by its own speed and network, none if its answer would be late."""
+    problem = prepare(frames.pack(small_sensor(spark, d)))
+    profile = problem.spark.createDataFrame([(t, 0.25 + 0.75 * uniform_for("speed", 0, t), 0.5 + uniform_for("net", 0, t)) for t in problem.tasks], "task_id long, speed double, comm_scale double")
+    fit = update_weights(problem, small_relation(), Hinge(), 2, policies.ClockPolicy(cycle=30.0, step_cost=1.0, comm_cost=20.0), profile=profile)
+    return fit.log_frame().select("round", "task_id", "dropped", "steps")
+
+
+def averaged_iterate(spark, d):
+    """The mean of the iterates of the last rounds, as weights."""
+    fit = update_weights(prepare(frames.pack(small_sensor(spark, d))), small_relation(), Hinge(), 3, sigma=3.0, average_from=1)
+    return _long(vectors_frame(fit.problem, fit.average, "w"), "w")
+
+
+def per_step_settings(spark, d):
+    """Rounds and sigma that depend on the outer step and its relation."""
+    problem = prepare(frames.pack(workloads.doc_quality_tasks(spark, d)))
+    fit = fit_multitask(problem, ClusterRelation(lam1=0.1, lam2=0.1, k=2), Squared(), outer=2, rounds=lambda i: 2 + i, sigma=lambda r: r.sigma(4, "gershgorin"))
+    return _history(fit)
+
+
+def _half_state(spark, d):
+    """A feasible state that SQL can tell: every dual is half its label."""
+    problem = prepare(frames.pack(small_sensor(spark, d)))
+    duals = problem.packed.select("task_id", "block_id", F.transform("ys", lambda y: 0.5 * y).alias("alpha"))
+    shared = {r.task_id: r.v for r in _shared(spark, d).collect()}  # d numbers per task
+    return problem, State(np.array([[0.5 * x for x in shared[t]] for t in problem.tasks]), duals)
+
+
+def _objective(loss: Loss) -> Query:
+    def query(spark: SparkSession, d: str) -> DataFrame:
+        problem, state = _half_state(spark, d)
+        found = measures.optimality(problem, state, small_relation(), loss)
+        return found.select(*[F.round(c, 5).alias(c) for c in ("primal", "dual", "gap")])
+
+    return query
+
+
+def subproblem_value(spark, d):
+    """Each task's local subproblem at a quarter step from the half state, by its conjugates, linear and curvature terms."""
+    problem, state = _half_state(spark, d)
+    relation = small_relation()
+    rows = attach(problem, state, relation.mix(state.v), relation.kappa(M), np.full(M, 3.0))
+    rows = rows.withColumn("delta", F.transform("ys", lambda y: 0.25 * y))
+    return measures.subproblem_values(rows, Hinge()).select("task_id", F.round("value", 5).alias("value"))
+
+
+def subproblem_theta(spark, d):
+    """The accuracy of one pass from zero, against a nearly exact solution of every subproblem."""
+    problem, relation = prepare(frames.pack(small_sensor(spark, d))), small_relation()
+    start, sigma = State(np.zeros((M, D))), np.full(M, 3.0)
+    after, _, _ = run_round(problem, start, relation, Hinge(), policies.WorkBudget(passes=1), sigma, 0, 0)
+    return measures.theta_frame(problem, start, after, relation, Hinge(), sigma).select("task_id", r6(F.col("theta")).alias("theta"))
+
+
+def measured_bounds(spark, d):
+    """The bounds on rounds, from a measured log and the constants of a real problem."""
+    problem, relation, loss = prepare(frames.pack(small_sensor(spark, d))), small_relation(), SmoothHinge(0.5)
+    fit = update_weights(problem, relation, loss, 4, policies.compose(policies.WorkBudget(passes=1), policies.DropPolicy(0.25)))
+    theta = measures.assumption_report(fit.log_frame()).first().p_max
+    s = measures.smooth_constant(problem, relation, loss.mu, relation.sigma(M))
+    n = int(problem.points.sum())
+    first, total = measures.rounds_bound_lipschitz(n, 1e-3, theta, 1.0, float((relation.kappa(M) * problem.largest * problem.points**2).sum()), relation.sigma(M), fit.history[0]["dual"] - fit.history[-1]["dual"])
+    return spark.createDataFrame([(round(float(theta), 6), round(float(s), 6), measures.rounds_bound_smooth(n, 1e-3, theta, s), first, total)], "p_max double, s double, smooth long, lipschitz_first long, lipschitz_total long")
+
+
+def _relation_fit(build: Callable[[int], Relation], tasks: Callable = workloads.doc_quality_tasks) -> Query:
+    """Two outer steps with this relation from the first one on; primal, dual and gap of every round."""
+
+    def query(spark: SparkSession, d: str) -> DataFrame:
+        problem = prepare(frames.pack(tasks(spark, d)))
+        relation = build(len(problem.tasks))
+        return _history(fit_multitask(problem, relation, Squared(), outer=2, rounds=3, first=relation))
+
+    return query
+
+
+def fit_graph_relation(spark, d):
+    """Nations of one region are neighbours: a graph that is known beforehand."""
+    problem = prepare(frames.pack(workloads.nation_tasks(spark, d)))
+    region = {r.task_id: r.cluster_id for r in workloads.nation_clusters(spark, d).collect()}  # a row a task
+    edges = [(i, j, 1.0) for i, a in enumerate(problem.tasks) for j, b in enumerate(problem.tasks) if i < j and region[a] == region[b]]
+    return _history(update_weights(problem, GraphRelation(edges, len(problem.tasks), 1.0, 1.0), Hinge(), 4))
+
+
 def _history(fit: FitResult) -> DataFrame:
     return fit.history_frame().select("run", "outer", "round", *[F.round(c, 5).alias(c) for c in ("primal", "dual", "gap")])
 
@@ -329,28 +426,52 @@ def trial_summary(spark, d):
 # Experiments --------------------------------------------------------------------------------------------------------------
 
 
-def compare_models(spark, d):
-    out = experiments.compare_models(workloads.sensor_tasks(spark, d), lambdas=(0.1, 1.0, 10.0), folds=2, trials=2, rounds=4)
-    return measures.summarize_trials(out)
+def _comparison(build: Callable, clusters: int = 3) -> Query:
+    """The whole protocol: seven penalties, five folds, ten shuffles; mean error and standard error by model."""
+
+    def query(spark: SparkSession, d: str) -> DataFrame:
+        out = experiments.compare_models(build(spark, d), clusters=clusters)
+        return measures.summarize_trials(out).select("model", "mean", "se", "trials")
+
+    return query
+
+
+def _experiment_problem(spark, d, tasks: Callable = workloads.sensor_tasks):
+    return prepare(frames.pack(tasks(spark, d))), ClusterRelation(lam1=1.0, lam2=0.5, clusters=tuple(t % 3 for t in range(23)))
+
+
+def skewed_sensors(spark, d):
+    return frames.skew_subsample(workloads.sensor_tasks(spark, d))
 
 
-def _experiment_problem(spark, d):
-    return prepare(frames.pack(frames.skew_subsample(workloads.sensor_tasks(spark, d)))), ClusterRelation(lam1=1.0, lam2=0.5, clusters=tuple(t % 3 for t in range(23)))
+def skewed_language(spark, d):
+    return frames.skew_subsample(workloads.doc_language_tasks(spark, d))
+
+
+def skewed_events(spark, d):
+    return frames.skew_subsample(workloads.event_window_tasks(spark, d, planted=True))
 
 
 def figure_straggler(spark, d):
-    problem, relation = _experiment_problem(spark, d)
-    return experiments.straggler_curves(problem, relation, Hinge(), rounds=5)
+    """Statistical heterogeneity is what this is about, so the sensors are of unequal size."""
+    problem, relation = _experiment_problem(spark, d, skewed_sensors)
+    return experiments.straggler_curves(problem, relation, Hinge(), rounds=8)
 
 
 def figure_heterogeneity(spark, d):
     problem, relation = _experiment_problem(spark, d)
-    return experiments.heterogeneity_curves(problem, relation, Hinge(), rounds=5)
+    return experiments.heterogeneity_curves(problem, relation, Hinge(), rounds=8)
 
 
 def figure_drops(spark, d):
     problem, relation = _experiment_problem(spark, d)
-    return experiments.drop_curves(problem, relation, Hinge(), ps=(0.0, 0.5), silent=(0,), rounds=6)
+    return experiments.drop_curves(problem, relation, Hinge(), silent=(0,), rounds=8)
+
+
+def figure_drops_whole(spark, d):
+    """Dropped nodes in the whole alternation, with the relation learned on the way."""
+    problem, _ = _experiment_problem(spark, d)
+    return experiments.drop_curves(problem, ClusterRelation(lam1=1.0, lam2=0.5, k=3), Hinge(), ps=(0.0, 0.25, 0.5, 0.75, 0.9), silent=(0,), rounds=4, outer=3)
 
 
 QUERIES: dict[str, Query] = {
@@ -363,14 +484,19 @@ QUERIES: dict[str, Query] = {
     "local_pass_hinge": _local(Hinge()), "local_pass_squared": _local(Squared()), "local_pass_smooth_hinge": _local(SmoothHinge(0.5)), "local_pass_absolute": _local(Absolute()),
     "budgeted_pass": _local(Hinge(), 7), "local_pass_arrow": _local_arrow(Hinge()), "local_pass_logistic": _local_arrow(Logistic()),
     "first_round_cluster": _rounds(1, small_relation, Hinge(), sigma=3.0), "three_rounds_cluster": _rounds(3, small_relation, Hinge(), sigma=3.0),
-    "gamma_half_round": _rounds(1, small_relation, Hinge(), sigma=3.0, gamma=0.5), "independent_rounds": _rounds(2, lambda: IndependentRelation(lam2=LAM2), Squared()),
+    "gamma_half_round": _rounds(1, small_relation, Hinge(), sigma=3.0, gamma=0.5), "independent_rounds": plain_rounds, "dropping_weights": dropping_weights, "clock_round": clock_round,
+    "averaged_iterate": averaged_iterate, "per_step_settings": per_step_settings, "duality_gap_hinge": _objective(Hinge()), "duality_gap_squared": _objective(Squared()), "duality_gap_smooth_hinge": _objective(SmoothHinge(0.5)),
+    "subproblem_value": subproblem_value, "subproblem_theta": subproblem_theta, "measured_bounds": measured_bounds,
+    "fit_mean_relation": _relation_fit(lambda m: MeanRelation(m, 0.1, 0.1)), "fit_dense_relation": _relation_fit(lambda m: DenseRelation(lam1=0.1, lam2=0.1, omega=np.eye(m) - np.full((m, m), 1.0 / m))),
+    "fit_spectral_relation": _relation_fit(lambda m: SpectralClusterRelation(lam1=0.1, lam2=0.1, k=2)), "fit_convex_relation": _relation_fit(lambda m: ConvexClusterRelation(lam1=0.1, lam2=0.1, k=2)),
+    "fit_sparse_precision": _relation_fit(lambda m: SparsePrecisionRelation(lam1=0.1, lam2=0.1)), "fit_graph_relation": fit_graph_relation,
     "drop_round": drop_round, "sgd_rounds": sgd_rounds, "sdca_minibatch_rounds": sdca_minibatch_rounds, "local_model_fit": local_model_fit, "global_model_fit": global_model_fit,
     "fit_alternating_cluster": fit_alternating_cluster, "fit_covariance_relation": fit_covariance_relation,
     "task_error": task_error, "mean_task_error": mean_task_error, "primal_loss_hinge": _loss_sums(Hinge()), "primal_loss_smooth_hinge": _loss_sums(SmoothHinge(0.5)),
     "primal_loss_squared": _loss_sums(Squared()), "primal_loss_logistic": _loss_sums(Logistic()), "primal_loss_absolute": _loss_sums(Absolute()), "penalty_cluster": penalty_cluster,
     "simulated_time_wifi": _simulated("wifi"), "simulated_time_lte": _simulated("lte"), "simulated_time_3g": _simulated("3g"), "straggler_report": straggler_report,
     "assumption_report": assumption_report, "communication_volume": communication_volume, "time_to_target": time_to_target, "rounds_bounds": rounds_bounds, "trial_summary": trial_summary,
-    "compare_models": compare_models, "figure_straggler": figure_straggler, "figure_heterogeneity": figure_heterogeneity, "figure_drops": figure_drops,
+    "compare_models": _comparison(workloads.sensor_tasks), "compare_models_language": _comparison(workloads.doc_language_tasks, 4),
+    "compare_models_events": _comparison(lambda spark, d: workloads.event_window_tasks(spark, d, planted=True)), "compare_models_skewed": _comparison(skewed_language, 4), "compare_models_skewed_events": _comparison(skewed_events),
+    "figure_straggler": figure_straggler, "figure_heterogeneity": figure_heterogeneity, "figure_drops": figure_drops, "figure_drops_whole": figure_drops_whole,
 }
-
-__all__ = ["QUERIES", "State", "dot", "feature_moments", "materialise", "np"]

@@ -123,7 +123,7 @@ def rank_tasks(spark, d):
 
 
 def pivot_errors(spark, d):
-    errors = load(spark, d, "events").groupBy(F.col("user_id").alias("task_id"), F.col("event_type").alias("model")).agg(F.round(F.avg("value"), 4).alias("error"))
+    errors = load(spark, d, "events").groupBy(F.col("user_id").alias("task_id"), F.col("event_type").alias("model")).agg((F.sum(F.round(F.col("value") * 10_000).cast("long")) / F.count("value")).alias("error"))
     return reports.pivot_errors(errors, ["click", "view", "purchase"])
 
 
@@ -137,7 +137,7 @@ def argmin_lambda(spark, d):
 
 
 def score_broadcast_join(spark, d):
-    points = workloads.sensor_tasks(spark, d, 20, 4, planted=False)
+    points = workloads.sensor_tasks(spark, d, 20, 64, planted=False)
     weights = points.where("row_id < 20").select("task_id", F.col("features").alias("w"))
     return points.join(F.broadcast(weights), "task_id").select("row_id", r6(dot("features", "w")).alias("z"))  # 20 rows
 
@@ -201,11 +201,11 @@ ORACLES = {
     "topk_hard_tasks": "SELECT o_custkey AS task_id, round(avg((o_orderstatus = 'F')::INT), 6) AS error FROM orders GROUP BY 1 ORDER BY error DESC, task_id LIMIT 10",
     "rank_tasks": """SELECT task_id, error, row_number() OVER (ORDER BY error DESC, task_id)::INTEGER AS place, rank() OVER w::INTEGER AS rank, dense_rank() OVER w::INTEGER AS dense, round(percent_rank() OVER w, 6) AS percent, round(cume_dist() OVER w, 6) AS cumulative
       FROM (SELECT c_nationkey AS task_id, round(avg((o_orderstatus = 'F')::INT), 2) AS error FROM orders JOIN customer ON o_custkey = c_custkey GROUP BY 1) WINDOW w AS (ORDER BY error DESC)""",
-    "pivot_errors": "SELECT user_id AS task_id, " + ", ".join(f"round(avg(value) FILTER (event_type = '{m}'), 4) AS \"{m}\"" for m in ("click", "view", "purchase")) + " FROM events GROUP BY 1",
+    "pivot_errors": "SELECT user_id AS task_id, " + ", ".join(f"sum(round(value * 10000)::BIGINT) FILTER (event_type = '{m}') / count(value) FILTER (event_type = '{m}') AS \"{m}\"" for m in ("click", "view", "purchase")) + " FROM events GROUP BY 1",
     "distinct_tasks": "SELECT count(DISTINCT o_custkey) AS exact FROM orders",
     "argmin_lambda": """SELECT trial, lam, error FROM (SELECT *, row_number() OVER (PARTITION BY trial ORDER BY error, lam DESC) AS r FROM
       (SELECT user_id AS trial, (event_id % 3)::DOUBLE AS lam, round(avg(value), 3) AS error FROM events GROUP BY 1, 2)) WHERE r = 1""",
-    "score_broadcast_join": "SELECT p.vec_id AS row_id, round(list_dot_product(p.embedding[1:4]::DOUBLE[], w.embedding[1:4]::DOUBLE[]), 6) AS z FROM embeddings p JOIN embeddings w ON w.vec_id = p.vec_id % 20",
+    "score_broadcast_join": "SELECT p.vec_id AS row_id, round(list_dot_product(p.embedding::DOUBLE[], w.embedding::DOUBLE[]), 6) AS z FROM embeddings p JOIN embeddings w ON w.vec_id = p.vec_id % 20",
     "one_vs_rest_predict": "SELECT vec_id AS row_id, CASE WHEN embedding[1] >= embedding[2] AND embedding[1] >= embedding[3] THEN 'a' WHEN embedding[2] >= embedding[3] THEN 'b' ELSE 'c' END AS class FROM embeddings",
     "time_quantiles": "SELECT o_orderpriority[1] AS round, round(quantile_cont(o_totalprice, 0.5), 4) AS p50, round(quantile_cont(o_totalprice, 0.9), 4) AS p90, round(quantile_cont(o_totalprice, 0.99), 4) AS p99 FROM orders GROUP BY 1",
     "first_last_values": """SELECT DISTINCT user_id, first_value(value) OVER w AS first, last_value(value) OVER w AS last, nth_value(value, 2) OVER w AS second FROM events

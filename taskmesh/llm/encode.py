@@ -76,7 +76,8 @@ class Pieces(dict):
 class Encoder:
     """ids of texts, as little-endian unsigned 32-bit bytes."""
 
-    def __init__(self, path: str, drops_space: bool) -> None:
+    def __init__(self, path: str, drops_space: bool, entries: int = CACHE_ENTRIES) -> None:
+        self.entries = entries
         self.tokenizer = Tokenizer.from_file(path)
         self.tokenizer.encode_special_tokens = True
         self.drops_space = drops_space
@@ -102,7 +103,7 @@ class Encoder:
         """texts: UTF-8. They are split one at a time, since a text's pieces need far more memory than it does."""
         out = []
         for text in texts:
-            if len(self.pieces) > CACHE_ENTRIES:
+            if len(self.pieces) > self.entries:
                 self.pieces.older = {}
                 self.pieces = Pieces(self, dict(self.pieces))
             out.append(self._encode(text))
@@ -128,9 +129,9 @@ class Encoder:
         return self.whole([text])[0]
 
 
-def encoder(name: str, drops_space: bool) -> Encoder:
+def encoder(name: str, drops_space: bool, entries: int = CACHE_ENTRIES) -> Encoder:
     """name: a file of the public tokenizers, or a path. One for each worker process, kept from task to task while they want the same."""
-    return kept((name, drops_space), lambda: Encoder(name if "/" in name else public_tokenizers.path(name), drops_space))
+    return kept((name, drops_space, entries), lambda: Encoder(name if "/" in name else public_tokenizers.path(name), drops_space, entries))
 
 
 BYTE_BPE = ("byte_bpe_50k.json", False)

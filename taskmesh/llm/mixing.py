@@ -28,9 +28,12 @@ def word_count(text: Column) -> Column:
 
 
 def draw(doc_id: Column, seed: Column | int) -> Column:
-    """A uniform number in [0, 1) that depends on the seed and the document only."""
+    """A uniform number in [0, 1) that depends on the seed and the document only: the document's md5 gives a start and a step of
+    32 bits, and each seed is a step further, so one digest serves all seeds and any engine can draw the same."""
     seed = F.lit(seed) if isinstance(seed, int) else seed
-    return F.shiftrightunsigned(F.xxhash64(seed.cast("int"), doc_id), 11) / F.lit(float(1 << 53))
+    digest = F.md5(F.coalesce(doc_id.cast("string"), F.lit("")).cast("binary"))
+    start, step = (F.conv(F.substring(digest, at, 8), 16, 10).cast("long") for at in (1, 9))
+    return F.pmod(start + seed.cast("long") * step, F.lit(1 << 32)) / F.lit(float(1 << 32))
 
 
 def targets(sizes: DataFrame, max_repeat: int = 3, weights: tuple[int, ...] = (1, 2, 3)) -> DataFrame:

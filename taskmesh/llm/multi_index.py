@@ -15,7 +15,7 @@ brute force, needs half of all there; vectors with structure need far less. The
 
 Defined cases: vectors that are null, zero, or hold null or non-finite components take no part, nor do those of another
 length than most; ties go to the smaller vec_id; a row is no candidate of queries with its vec_id; rows that repeat a vec_id
-are candidates one by one; fewer candidates than ``k`` give fewer rows; an empty table gives an empty result.
+are candidates one by one, and ask once, with the least of their vectors; fewer candidates than ``k`` give fewer rows; an empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -78,10 +78,11 @@ def walk(u: np.ndarray, v: np.ndarray, counts: np.ndarray, wanted: int) -> float
     """Passes cells by falling u[i] + v[j] until they hold ``wanted`` vectors; returns the last sum passed."""
     by_u, by_v = np.argsort(-u), np.argsort(-v)
     us, vs = u[by_u].tolist(), v[by_v].tolist()
-    held = counts[by_u][:, by_v].tolist()
+    held: list[list[int]] = []  # counts of the rows reached, in the order of columns
     reached = [0] * len(us)  # how far each row has been pushed
     heap = [(-(us[0] + vs[0]), 0, 0)]
     reached[0] = 1
+    held.append(counts[by_u[0]][by_v].tolist())
     found, last = 0, math.inf
     while heap:
         s, i, j = heapq.heappop(heap)
@@ -95,6 +96,7 @@ def walk(u: np.ndarray, v: np.ndarray, counts: np.ndarray, wanted: int) -> float
             reached[i] = j + 2
         if j == 0 and i + 1 < len(us):
             heapq.heappush(heap, (-(us[i + 1] + vs[0]), i + 1, 0))
+            held.append(counts[by_u[i + 1]][by_v].tolist())
             reached[i + 1] = 1
     return -math.inf
 
@@ -175,7 +177,8 @@ def search(vectors: DataFrame, is_query: Column, k: int = 20, visit: float = 0.5
                     ["block", "cut", "vec_id", "embedding"],
                 )
 
-    routed = assigned.where(is_query).select("vec_id", "embedding").mapInArrow(route, "block long, cut double, vec_id long, embedding array<double>")
+    asking = assigned.where(is_query).groupBy("vec_id").agg(F.min("embedding").alias("embedding"))  # an id asks once
+    routed = asking.select("vec_id", "embedding").mapInArrow(route, "block long, cut double, vec_id long, embedding array<double>")
     home = spark.createDataFrame([(i, int(f), int(p)) for i, (f, p) in enumerate(zip(index.first_block, index.parts, strict=True))], "_i int, first_block long, parts long")
     entries = assigned.join(F.broadcast(home), F.col("i") == F.col("_i"))  # MOST_CENTROIDS rows at most
     entries = entries.select((F.col("first_block") + F.pmod(F.xxhash64("vec_id", F.lit(seed)), F.col("parts"))).alias("block"), F.lit(0).alias("side"), "i", "j", F.lit(0.0).alias("cut"), "vec_id", "embedding")

@@ -30,6 +30,8 @@ from taskmesh.sources import load, materialise
 
 CAPACITY = 4096
 END = 1
+#: Entries of the word cache while packing, whose workers hold ids too; it bounds memory only.
+PIECES = 200_000
 #: Rows ranked together at most, on average.
 CHUNK = 4_000
 
@@ -112,7 +114,7 @@ def cut(docs: DataFrame, capacity: int = CAPACITY, tokenizer: tuple[str, bool] =
     schema = "doc_id long, piece int, start long, length long, ids_crc32 long" + ", ids binary" * with_ids
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        enc = encoder(*tokenizer)
+        enc = encoder(*tokenizer, entries=PIECES)
         for b in batches:
             rows: list[list] = [[], [], [], [], [], []]
             for doc_id, ids in zip(b.column("doc_id").to_pylist(), enc.encode(text_bytes(b)), strict=True):

@@ -55,5 +55,24 @@ reach AS (SELECT vec_id AS node, vec_id AS seen FROM embeddings UNION SELECT l.b
 SELECT node AS vec_id, (SELECT count(*) FROM links WHERE a = node) AS n_links, min(seen) AS component_id, node = min(seen) AS kept FROM reach GROUP BY node"""
 
 
+def mixing_sql(seeds: int = 32, most: int = 3) -> str:
+    """Targets by the level that the sources below their ceiling share, rates, and the draws by md5 with the best of the seeds."""
+    draw = "((('0x' || substr(m, 1, 8))::BIGINT + {seed}::BIGINT * ('0x' || substr(m, 9, 8))::BIGINT) % 4294967296) / 4294967296.0::DOUBLE"
+    missing = "target - whole * source_size"
+    tried = ", ".join(f"sum(CASE WHEN {draw.format(seed=s)} < part THEN size ELSE 0 END) AS s{s}" for s in range(seeds))
+    best = ", ".join(f"[abs(s{s} - ({missing})), {s}]" for s in range(seeds))
+    return rf"""WITH docs AS (SELECT doc_id, source, md5(coalesce(doc_id::VARCHAR, '')) AS m, coalesce(len(regexp_extract_all(text, '[^ 	-]+')), 0)::BIGINT AS size FROM documents),
+      sizes AS (SELECT source, sum(size)::BIGINT AS source_size FROM docs GROUP BY source),
+      weighed AS (SELECT *, [1.0, 2.0, 3.0][((row_number() OVER (ORDER BY source NULLS LAST) - 1) % 3 + 1)::INT]::DOUBLE AS weight, {most}.0::DOUBLE * source_size AS ceiling FROM sizes),
+      levels AS (SELECT *, (sum(source_size) OVER ()::DOUBLE - coalesce(sum(ceiling) OVER b, 0)) / (sum(weight) OVER () - coalesce(sum(weight) OVER b, 0)) AS level, ceiling / weight AS reach FROM weighed
+        WINDOW b AS (ORDER BY ceiling / weight, source NULLS LAST ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING)),
+      targets AS (SELECT source, source_size, least(ceiling, (SELECT max(level) FROM levels WHERE level <= reach) * weight) AS target FROM levels),
+      rates AS (SELECT *, floor(rate) AS whole, rate - floor(rate) AS part FROM (SELECT *, CASE WHEN source_size > 0 THEN target / source_size ELSE 0.0 END + 1e-12::DOUBLE AS rate FROM targets)),
+      sums AS (SELECT r.source, any_value(r.source_size) AS source_size, any_value(target) AS target, any_value(whole) AS whole, any_value(part) AS part, {tried} FROM docs d JOIN rates r ON d.source IS NOT DISTINCT FROM r.source GROUP BY r.source),
+      chosen AS (SELECT *, list_min([{best}])[2]::BIGINT AS seed FROM sums)
+      SELECT doc_id, size, source_size, target, size * copies AS taken, copies, source FROM
+        (SELECT d.*, c.source_size, c.target, least(c.whole + CASE WHEN {draw.format(seed='c.seed')} < c.part THEN 1 ELSE 0 END, {most})::BIGINT AS copies FROM docs d JOIN chosen c ON d.source IS NOT DISTINCT FROM c.source)"""
+
+
 def oracle_sql() -> dict[str, str]:
-    return {"op1_minhash": MINHASH_SQL, "op7_vector_dedup": VECTOR_DEDUP_SQL}
+    return {"op1_minhash": MINHASH_SQL, "op7_vector_dedup": VECTOR_DEDUP_SQL, "op9_mixing": mixing_sql()}

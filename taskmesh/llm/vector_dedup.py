@@ -5,6 +5,9 @@ the threshold agrees in one sign with probability 1 - angle / pi, in a table's k
 missed by all tables with probability ``miss`` at most: the number of tables follows from the number of bits, which follows
 from the number of vectors, so that buckets of unrelated vectors stay of one size at every scale.
 
+Ids travel to buckets with a sketch, the first ``SKETCH`` of their signs; vectors follow only into buckets where a sketch is
+near enough to another (within seven standard deviations of what a pair at the threshold has).
+
 Vectors that are equal form one class first. Within a bucket every pair of classes is compared in double precision, in
 blocks: a bucket of more than ``block`` classes is split, and each pair of its parts is a task's run of its own. No pair
 leaves the task. A linked pair is counted in the first table where its keys agree, which both rows' keys tell, so counts
@@ -33,6 +36,8 @@ from taskmesh.sources import load, materialise
 BUCKET = 16
 BLOCK = 512
 MISS = 1e-6
+#: Signs of a vector that travel ahead of it.
+SKETCH = 256
 
 
 def table_plan(vectors: int, cosine: float, miss: float = MISS, bucket: int = BUCKET) -> tuple[int, int]:
@@ -55,6 +60,18 @@ def sign_keys(x: np.ndarray, bits: int, tables: int, seed: int) -> np.ndarray:
     return out
 
 
+def sketch(keys: np.ndarray, bits: int) -> np.ndarray:
+    """The first SKETCH signs of all tables' keys, eight to a byte, in whole words of 64."""
+    signs = (keys[:, :, None] >> np.arange(bits) & 1).astype(np.uint8).reshape(len(keys), -1)[:, :SKETCH]
+    return np.packbits(np.pad(signs, ((0, 0), (0, -signs.shape[1] % 64))), axis=1)
+
+
+def sketch_bound(cosine: float, signs: int) -> int:
+    """Differing signs of a pair at the threshold: the mean and seven standard deviations, which it exceeds less often than 1e-8."""
+    n, p = min(SKETCH, signs), math.acos(cosine) / math.pi
+    return math.floor(n * p + 7 * math.sqrt(n * p * (1 - p)))
+
+
 def _forest(a: np.ndarray, b: np.ndarray, size: int) -> list[tuple[int, int]]:
     """Edges of a spanning forest of the pairs, over 0 .. size - 1."""
     parent = list(range(size))
@@ -86,20 +103,51 @@ def near_duplicates(vectors: DataFrame, cosine: float = 0.95, seed: int = 11, bl
             for part in by_length(b):
                 x = matrix(part)
                 keys = sign_keys(x, bits, tables, seed) ^ (x.shape[1] << 40 if bits < 40 else 0)
-                yield pa.RecordBatch.from_arrays([*part.columns, pa.array(list(keys), pa.list_(pa.int64()))], [*part.schema.names, "keys"])
+                sketches = pa.array([s.tobytes() for s in sketch(keys, bits)], pa.binary())
+                yield pa.RecordBatch.from_arrays([*part.columns, pa.array(list(keys), pa.list_(pa.int64())), sketches], [*part.schema.names, "keys", "sketch"])
 
-    keyed = classes.mapInArrow(signs, "key long, embedding array<double>, rep long, copies long, keys array<long>")
+    keyed = classes.mapInArrow(signs, "key long, embedding array<double>, rep long, copies long, keys array<long>, sketch binary")
     keyed = materialise(keyed.withColumn("cls", F.xxhash64("key", "rep")), "vec-keys")
     buckets = keyed.select("cls", F.posexplode("keys").alias("t", "k"))
     sizes = materialise(buckets.groupBy("t", "k").agg(F.count("*").alias("members")).where("members > 1"), "vec-buckets")
-    # Parts of a bucket, and the pairs of parts that a member of one part takes part in.
-    parts = F.ceil(F.col("members") / block).cast("int")
-    rows = keyed.select("cls", "rep", "copies", "embedding", "keys", F.posexplode("keys").alias("t", "k"))
-    rows = rows.join(sizes.withColumnsRenamed({"t": "_t", "k": "_k"}), (F.col("t") == F.col("_t")) & (F.col("k") == F.col("_k")))
-    rows = rows.withColumn("part", F.pmod(F.xxhash64("cls", F.lit(seed)), parts).cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), parts - 1)))
-    rows = rows.select("t", "k", F.least("part", "other").alias("p"), F.greatest("part", "other").alias("q"), "part", "rep", "copies", "embedding", "keys")
     width = max(1, int(vectors.sparkSession.conf.get("spark.sql.shuffle.partitions")))
-    dealt = rows.repartition(width, "t", "k", "p", "q").sortWithinPartitions("t", "k", "p", "q", "part", "rep")
+
+    def dealt_out(members: DataFrame, *carried: str) -> DataFrame:
+        """members: of buckets, with t, k and cls. Each goes to the pairs of parts of its bucket that its own part is in."""
+        parts = F.ceil(F.col("members") / block).cast("int")
+        rows = members.join(sizes.withColumnsRenamed({"t": "_t", "k": "_k"}), (F.col("t") == F.col("_t")) & (F.col("k") == F.col("_k")))
+        rows = rows.withColumn("part", F.pmod(F.xxhash64("cls", F.lit(seed)), parts).cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), parts - 1)))
+        rows = rows.select("t", "k", F.least("part", "other").alias("p"), F.greatest("part", "other").alias("q"), "part", *carried)
+        return rows.repartition(width, "t", "k", "p", "q").sortWithinPartitions("t", "k", "p", "q", "part", carried[0])
+
+    # Ids and sketches travel first; vectors follow only to buckets where a sketch found them a partner.
+    away = sketch_bound(cosine, bits * tables)
+
+    def partners(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        names = ["t", "k", "p", "q"]
+        for b in key_runs(batches, names):
+            cls, part, p_of, q_of, t_of = (b.column(c).to_numpy(zero_copy_only=False) for c in ("cls", "part", "p", "q", "t"))
+            words = np.frombuffer(b"".join(b.column("sketch").to_pylist()), np.uint64).reshape(b.num_rows, -1)
+            some = np.zeros(b.num_rows, bool)
+            for low, high in bounds(b, names):
+                own = part[low:high] == p_of[low]
+                rows_a = np.flatnonzero(own) + low
+                same = p_of[low] == q_of[low]
+                rows_b = rows_a if same else np.flatnonzero(~own) + low
+                differ = sum(np.bitwise_count(words[rows_a, j][:, None] ^ words[rows_b, j][None, :]).astype(np.int16) for j in range(words.shape[1]))
+                close = differ <= away
+                if same:
+                    np.fill_diagonal(close, False)
+                some[rows_a] |= close.any(axis=1)
+                some[rows_b] |= close.any(axis=0)
+            yield pa.RecordBatch.from_arrays([pa.array(cls[some], pa.int64()), pa.array(t_of[some], pa.int32())], ["cls", "t"])
+
+    sketched = dealt_out(keyed.select("cls", "sketch", F.posexplode("keys").alias("t", "k")), "cls", "sketch")
+    paired = sketched.mapInArrow(partners, "cls long, t int").groupBy("cls").agg(F.collect_set("t").alias("in_tables"))
+    paired = materialise(paired.withColumnRenamed("cls", "_cls"), "vec-partners")  # a set of tables for each vector
+    rows = keyed.join(paired, F.col("cls") == F.col("_cls")).select("cls", "rep", "copies", "embedding", "keys", F.explode("in_tables").alias("t"))
+    rows = rows.withColumn("k", F.element_at("keys", F.col("t") + 1))
+    dealt = dealt_out(rows, "rep", "copies", "embedding", "keys")
 
     def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         names = ["t", "k", "p", "q"]

@@ -29,8 +29,27 @@ class ExpandGrid:
                 yield k * folds + f, float(lam), f
 
 
+VECTOR, NUMBER = "ARRAY<DOUBLE>", "DOUBLE"
+#: Functions that stay in the JVM: name, parameters, result and body.
+SQL_FUNCTIONS = (
+    ("vector_dot", f"a {VECTOR}, b {VECTOR}", NUMBER, "aggregate(zip_with(a, b, (x, y) -> x * y), 0D, (s, p) -> s + p)"),
+    ("vector_norm2", f"a {VECTOR}", NUMBER, "aggregate(transform(a, x -> x * x), 0D, (s, p) -> s + p)"),
+    ("vector_add", f"a {VECTOR}, b {VECTOR}", VECTOR, "zip_with(a, b, (x, y) -> x + y)"),
+    ("vector_scale", f"a {VECTOR}, f {NUMBER}", VECTOR, "transform(a, x -> x * f)"),
+    ("vector_axpy", f"f {NUMBER}, a {VECTOR}, b {VECTOR}", VECTOR, "zip_with(a, b, (x, y) -> f * x + y)"),
+    ("portable_uniform", "name STRING", NUMBER, "CAST(conv(substring(md5(name), 1, 8), 16, 10) AS DOUBLE) / 4294967296D"),
+    ("hinge_loss", f"z {NUMBER}, y {NUMBER}", NUMBER, "greatest(0D, 1D - y * z)"),
+    ("squared_loss", f"z {NUMBER}, y {NUMBER}", NUMBER, "0.5D * (z - y) * (z - y)"),
+    ("logistic_loss", f"z {NUMBER}, y {NUMBER}", NUMBER, "log1p(exp(-y * z))"),
+    ("absolute_loss", f"z {NUMBER}, y {NUMBER}", NUMBER, "abs(z - y)"),
+    ("one_against_rest", "value STRING, positive STRING", NUMBER, "CASE WHEN value <=> positive THEN 1D ELSE -1D END"),
+)
+
+
 def register(spark: SparkSession) -> None:
-    """predict_udf(features, w), vector_sum_udaf(x) and the table function expand_grid(lams, folds)."""
+    """The functions of SQL_FUNCTIONS; predict_udf(features, w), vector_sum_udaf(x) and the table function expand_grid(lams, folds)."""
+    for name, parameters, result, body in SQL_FUNCTIONS:
+        spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION {name}({parameters}) RETURNS {result} RETURN {body}")
     spark.udf.register("predict_udf", F.pandas_udf(dots, DoubleType(), PandasUDFType.SCALAR))
     spark.udf.register("vector_sum_udaf", F.pandas_udf(sums, ArrayType(DoubleType()), PandasUDFType.GROUPED_AGG))
     spark.udtf.register("expand_grid", F.udtf(ExpandGrid, returnType="config_id int, lam double, fold int"))

@@ -2,10 +2,12 @@
 
 from __future__ import annotations
 
+import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from taskmesh.functions.vectors import dot, norm2
+from taskmesh.operators.relations import MAX_DENSE_TASKS
 
 
 def asof(events: DataFrame, versions: DataFrame, key: str, event_time: str, version_time: str, columns: list[str]) -> DataFrame:
@@ -37,6 +39,20 @@ def reconcile(old: DataFrame, new: DataFrame, keys: list[str], value: str) -> Da
     return joined.withColumn("found", F.when(F.col("old").isNull(), "new").when(F.col("new").isNull(), "old").otherwise("both"))
 
 
+def merge_state(blocks: DataFrame, duals: DataFrame) -> DataFrame:
+    """Every block with its duals, as a grouped pass over both sides at once: task_id, block_id, rows, alpha. A block without
+    duals starts at zero; duals of a block that is gone are left out. blocks: task_id, block_id, ys."""
+
+    def merge(left: pa.Table, right: pa.Table) -> pa.Table:
+        known = dict(zip(right.column("block_id").to_pylist(), right.column("alpha").to_pylist(), strict=True))
+        ids, sizes = left.column("block_id").to_pylist(), [len(y) for y in left.column("ys").to_pylist()]
+        alphas = [known.get(b) or [0.0] * n for b, n in zip(ids, sizes, strict=True)]
+        return pa.table({"task_id": left.column("task_id"), "block_id": left.column("block_id"), "rows": pa.array(sizes, pa.int32()), "alpha": pa.array(alphas, pa.list_(pa.float64()))})
+
+    both = blocks.select("task_id", "block_id", "ys").groupBy("task_id").cogroup(duals.select("task_id", "block_id", "alpha").groupBy("task_id"))
+    return both.applyInArrow(merge, "task_id long, block_id int, rows int, alpha array<double>")
+
+
 def config_grid(spark, **lists) -> DataFrame:
     """Every combination of the given values, numbered."""
     out = spark.range(1).select()
@@ -46,7 +62,11 @@ def config_grid(spark, **lists) -> DataFrame:
 
 
 def related_tasks(vectors: DataFrame, column: str, k: int) -> DataFrame:
-    """Each task's k most similar others by cosine; all pairs of tasks, of which there are few (ties: the smaller id)."""
+    """Each task's k most similar others by cosine (ties: the smaller id). It compares all pairs of tasks, as dense relations do,
+    and so refuses more of them than those."""
+    tasks = vectors.count()
+    if tasks > MAX_DENSE_TASKS:
+        raise ValueError(f"{tasks} tasks; all pairs of at most {MAX_DENSE_TASKS}")
     a, b = vectors.select("task_id", F.col(column).alias("a")), vectors.select(F.col("task_id").alias("other"), F.col(column).alias("b"))
     cosine = dot("a", "b") / F.sqrt(norm2("a") * norm2("b"))
     pairs = a.join(b, F.col("task_id") != F.col("other")).select("task_id", "other", cosine.alias("cosine"))

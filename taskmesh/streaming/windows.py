@@ -82,6 +82,33 @@ def clocked_rounds(answers: DataFrame, step: Callable[[int, list[int]], None], c
     return (writer.trigger(processingTime=cycle) if cycle else writer.trigger(availableNow=True)).start()
 
 
+def dropped_late(query) -> int:
+    """Rows that a query's watermark has let go so far, from its progress."""
+    return sum(int(s["numRowsDroppedByWatermark"]) for p in query.recentProgress for s in p["stateOperators"])
+
+
+def solver_rounds(problem, relation, loss, policy, sigma, seed: int = 0):
+    """A ``step`` for ``clocked_rounds`` that runs the solver: tasks that did not answer in a cycle are dropped from its round. A batch
+    that comes again, after a restart of the stream, is not run twice. Returns the step and the list that its states go to."""
+    import numpy as np
+
+    from taskmesh.operators.policies import NeverSends, compose
+    from taskmesh.operators.solver import State, run_round
+
+    states, done = [State(np.zeros((len(problem.tasks), problem.d)))], set()
+
+    def step(round_: int, present: list[int]) -> None:
+        if round_ in done:
+            return
+        absent = tuple(t for t in problem.tasks if t not in set(present))
+        plan = compose(policy, NeverSends(absent)) if absent else policy
+        state, _, _ = run_round(problem, states[-1], relation, loss, plan, sigma, 0, round_, seed)
+        done.add(round_)
+        states.append(state)
+
+    return step, states
+
+
 def to_table(stream: DataFrame, path: str, checkpoint: str, mode: str = "append"):
     """All that is there now, to Parquet; a restart goes on from the checkpoint."""
     return stream.writeStream.format("parquet").option("path", path).option("checkpointLocation", checkpoint).outputMode(mode).trigger(availableNow=True).start()

@@ -177,13 +177,14 @@ def search(vectors: DataFrame, is_query: Column, k: int = 20, visit: float = 0.5
                     ["block", "cut", "vec_id", "embedding"],
                 )
 
-    asking = assigned.where(is_query).groupBy("vec_id").agg(F.min("embedding").alias("embedding"))  # an id asks once
+    width = int(spark.conf.get("spark.sql.shuffle.partitions"))
+    # An id asks once. Walks are dear, so few queries are spread too.
+    asking = assigned.where(is_query).groupBy("vec_id").agg(F.min("embedding").alias("embedding")).repartition(width, "vec_id")
     routed = asking.select("vec_id", "embedding").mapInArrow(route, "block long, cut double, vec_id long, embedding array<double>")
     home = spark.createDataFrame([(i, int(f), int(p)) for i, (f, p) in enumerate(zip(index.first_block, index.parts, strict=True))], "_i int, first_block long, parts long")
     entries = assigned.join(F.broadcast(home), F.col("i") == F.col("_i"))  # MOST_CENTROIDS rows at most
     entries = entries.select((F.col("first_block") + F.pmod(F.xxhash64("vec_id", F.lit(seed)), F.col("parts"))).alias("block"), F.lit(0).alias("side"), "i", "j", F.lit(0.0).alias("cut"), "vec_id", "embedding")
     asked = routed.select("block", F.lit(1).alias("side"), F.lit(0).alias("i"), F.lit(0).alias("j"), "cut", "vec_id", "embedding")
-    width = int(spark.conf.get("spark.sql.shuffle.partitions"))
     met = entries.unionAll(asked).repartition(width, "block").sortWithinPartitions("block", "side", "vec_id")
 
     def rank(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

@@ -179,7 +179,7 @@ def search(vectors: DataFrame, is_query: Column, k: int = 20, visit: float = 0.5
 
     width = int(spark.conf.get("spark.sql.shuffle.partitions"))
     # An id asks once. Walks are dear, so few queries are spread too.
-    asking = assigned.where(is_query).groupBy("vec_id").agg(F.min("embedding").alias("embedding")).repartition(width, "vec_id")
+    asking = assigned.where(is_query).groupBy("vec_id").agg(F.min("embedding").alias("embedding")).repartition(width, F.xxhash64("vec_id"))
     routed = asking.select("vec_id", "embedding").mapInArrow(route, "block long, cut double, vec_id long, embedding array<double>")
     home = spark.createDataFrame([(i, int(f), int(p)) for i, (f, p) in enumerate(zip(index.first_block, index.parts, strict=True))], "_i int, first_block long, parts long")
     entries = assigned.join(F.broadcast(home), F.col("i") == F.col("_i"))  # MOST_CENTROIDS rows at most

@@ -15,7 +15,9 @@ asks the filter, finds the block by binary search in the index and the key by bi
 
 Documents are encoded where they are read, and only compact ids move: they are dealt to shards by bounds taken from the
 doc_id column, sorted there, and written by the task that holds them, under a name of its own, to the shared folder; the
-table of shards lists the files of tasks that ended well.
+table of shards lists the files of tasks that ended well. A shard is a task of its own (its number is the partition, not
+hashed, so no two shards meet in one task). Beyond ``MOST_SHARDS`` of them shards get larger instead of more, which bounds
+tasks, bounds and the quantile sketch on the driver.
 
 Defined cases: null text is an empty text, whose ids are the end id alone; documents with null doc_id come first; rows that
 repeat a doc_id are kept, ordered by their ids' crc32; an empty table gives no shards and an empty result.
@@ -48,6 +50,7 @@ BLOOM_HASHES = 7
 MAGIC = b"TMSST01\n"
 _FOOTER = struct.Struct("<QQQQQQ8s")
 DOCS_PER_SHARD = 8192
+MOST_SHARDS = 32_768
 END = 0
 
 
@@ -228,12 +231,12 @@ def open_shard(uri: str) -> ShardReader:
     return ShardReader(file, file.size())
 
 
-def write_shards(docs: DataFrame, folder: str, tokenizer: tuple[str, bool] = BYTE_BPE, end: int = END, docs_per_shard: int = DOCS_PER_SHARD) -> DataFrame:
+def write_shards(docs: DataFrame, folder: str, tokenizer: tuple[str, bool] = BYTE_BPE, end: int = END, docs_per_shard: int = DOCS_PER_SHARD, most_shards: int = MOST_SHARDS) -> DataFrame:
     """docs: doc_id, text. Writes the shards into ``folder`` (a URI every executor reaches) and returns their stored table:
     shard (in order of doc_id), path, documents, tokens."""
     docs = docs.select("doc_id", "text")
     ids_only = docs.select("doc_id")
-    shards = max(1, -(-ids_only.count() // docs_per_shard))
+    shards = max(1, min(most_shards, -(-ids_only.count() // docs_per_shard)))
     bounds = sorted(set(ids_only.stat.approxQuantile("doc_id", [k / shards for k in range(1, shards)], 0.25 / shards))) if shards > 1 else []
     shared = docs.sparkSession.sparkContext.broadcast(np.array(bounds, np.float64))
     tail = np.array([end], "<u4").tobytes()
@@ -277,7 +280,7 @@ def write_shards(docs: DataFrame, folder: str, tokenizer: tuple[str, bool] = BYT
         )
 
     encoded = docs.mapInArrow(lean(encode, keeps=True), "shard int, doc_id long, crc long, value binary")
-    sorted_ = encoded.repartition(len(bounds) + 1, "shard").sortWithinPartitions("shard", F.col("doc_id").asc_nulls_first(), "crc")
+    sorted_ = encoded.repartitionById(len(bounds) + 1, F.col("shard")).sortWithinPartitions("shard", F.col("doc_id").asc_nulls_first(), "crc")
     return materialise(sorted_.mapInArrow(write, "shard int, path string, documents long, tokens long"), "sst-shards")
 
 
@@ -294,8 +297,8 @@ def read_shards(shards: DataFrame) -> DataFrame:
                     base += len(ids)
                 yield pa.RecordBatch.from_arrays([pa.array(v, pa.int64()) for v in (doc_ids, starts, sizes, marks)], ["doc_id", "start", "n_tokens", "ids_crc32"])
 
-    width = max(1, min(shards.count(), 10_000))
-    return placed.repartition(width, "shard").mapInArrow(read, "doc_id long, start long, n_tokens long, ids_crc32 long")
+    width = max(1, shards.count())
+    return placed.repartitionById(width, F.col("shard")).mapInArrow(read, "doc_id long, start long, n_tokens long, ids_crc32 long")
 
 
 def lookup(shards: DataFrame, doc_id: int | None) -> list[np.ndarray]:

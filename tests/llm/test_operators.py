@@ -189,6 +189,14 @@ def test_sstable_round_trip_and_lookup(spark, tmp_path):
     assert sstable.read_shards(sstable.write_shards(docs.limit(0), f"file://{tmp_path}/none")).count() == 0
 
 
+def test_sstable_shards_get_larger_instead_of_more(spark, tmp_path):
+    docs = frame(spark, [*ODD, *[(100 + i, f"text number {i}") for i in range(300)]])
+    few = sstable.write_shards(docs, f"file://{tmp_path}/few", docs_per_shard=16, most_shards=3)
+    many = sstable.write_shards(docs, f"file://{tmp_path}/many", docs_per_shard=16)
+    assert few.count() <= 3 < many.count()
+    assert sorted(map(repr, sstable.read_shards(few).collect())) == sorted(map(repr, sstable.read_shards(many).collect()))
+
+
 def test_language_model(spark):
     rng = random.Random(9)
     follow = {w: rng.sample([f"w{k}" for k in range(40)], 3) for w in [f"w{k}" for k in range(40)]}

@@ -47,7 +47,7 @@ def decontaminated(spark, d):
 
 def asof_latest_weights(spark, d):
     events = _events(spark, d).select("event_id", "user_id", "ts")
-    versions = _events(spark, d).where("event_type = 'login'").select("user_id", F.col("ts").alias("at"), F.col("event_id").alias("version"))
+    versions = _events(spark, d).where("event_type = 'signup'").select("user_id", F.col("ts").alias("at"), F.col("event_id").alias("version"))
     versions = versions.groupBy("user_id", "at").agg(F.max("version").alias("version"))
     return joins.asof(events, versions, "user_id", "ts", "at", ["version"]).select("event_id", "version")
 
@@ -182,7 +182,7 @@ ORACLES = {
     "label_coverage_left_join": "SELECT source, count(*) AS docs, count(quality) AS labelled, count(*) FILTER (toxic = 1) AS toxic FROM documents LEFT JOIN labels USING (doc_id) GROUP BY source",
     "decontaminate_anti_join": f"""WITH b AS ({SHINGLES.replace('ROWS', '(SELECT item_id AS id, text FROM benchmark)')}), d AS ({SHINGLES.replace('ROWS', '(SELECT doc_id AS id, text FROM documents)')})
       SELECT doc_id, lang FROM documents WHERE doc_id NOT IN (SELECT id FROM d WHERE s IN (SELECT s FROM b))""",
-    "asof_latest_weights": """SELECT e.event_id, v.version FROM events e ASOF LEFT JOIN (SELECT user_id, ts, max(event_id) AS version FROM events WHERE event_type = 'login' GROUP BY 1, 2) v
+    "asof_latest_weights": """SELECT e.event_id, v.version FROM events e ASOF LEFT JOIN (SELECT user_id, ts, max(event_id) AS version FROM events WHERE event_type = 'signup' GROUP BY 1, 2) v
       ON e.user_id = v.user_id AND e.ts >= v.ts""",
     "interval_join_sessions": """SELECT p.event_id AS purchase, count(*) AS n, max(e.event_id) AS last FROM events p JOIN events e ON p.user_id = e.user_id AND e.ts BETWEEN p.ts - INTERVAL 6 HOURS AND p.ts
       WHERE p.event_type = 'purchase' GROUP BY 1""",

@@ -120,8 +120,9 @@ def run_round(
     w = relation.mix(state.v)
     rows = attach(problem, state, w, relation.kappa(m), sigma, profile)
     plan = policy.plan(outer, round_, int(problem.points.min()), seed)
-    share = F.when(plan.budget >= NO_LIMIT, 1.0).otherwise(F.size("ys") / F.col("n"))  # a task's blocks divide its budget
-    rows = rows.withColumn("dropped", plan.dropped).withColumn("theta", plan.theta).withColumn("budget", F.ceil(plan.budget * share).cast("int"))
+    rows = rows.withColumn("dropped", plan.dropped).withColumn("theta", plan.theta).withColumn("budget", plan.budget)
+    share = F.expr("CAST((CAST(budget AS BIGINT) * size(ys) + n - 1) div n AS INT)")  # a task's blocks divide its budget, in whole numbers
+    rows = rows.withColumn("budget", F.when(F.col("budget") >= NO_LIMIT, F.col("budget")).otherwise(share))
     done = materialise(arrow_pass(rows, loss, order, seed, round_, gamma, stale), "round")
     per_task = done.groupBy("task_id").agg(
         F.collect_list("dv").alias("dvs"), F.sum("steps").alias("steps"), F.max("theta").alias("theta"), F.max("dropped").alias("dropped"),

@@ -18,7 +18,8 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from taskmesh.functions.draws import uniform_for
-from taskmesh.operators.local import arrow_pass
+from taskmesh.operators import frames
+from taskmesh.operators.local import arrow_pass, least_draws
 from taskmesh.operators.losses import Loss
 from taskmesh.operators.policies import NO_LIMIT, WorkBudget
 from taskmesh.operators.relations import Relation
@@ -39,6 +40,7 @@ class Problem:
     blocks: np.ndarray
     d: int
     largest: np.ndarray
+    places: DataFrame | None = None  # of the rows of cut tasks, once a mini-batch asks for them
 
     @property
     def place(self) -> dict[int, int]:
@@ -111,6 +113,22 @@ def attach(problem: Problem, state: State, w: np.ndarray, kappa: np.ndarray, sig
     return out.join(state.duals.hint("shuffle_hash"), ["task_id", "block_id"])
 
 
+def with_picks(problem: Problem, rows: DataFrame, batch: int, seed: int, round_: int) -> DataFrame:
+    """Adds picked, the places within each block of the rows that its task samples: the ``batch`` (or budget) least draws of the
+    whole task, however many blocks it is cut into. A task of one block draws in its own pass (picked: null). rows: with n and
+    the task's budget."""
+    if (problem.blocks == 1).all():
+        return rows.withColumn("picked", F.lit(None).cast("array<int>"))
+    if problem.places is None:
+        problem.places = materialise(frames.block_places(problem.packed), "places")
+    asked = rows.select("task_id", "block_id", F.least(F.lit(batch), "n", "budget").alias("k")).join(problem.places.hint("shuffle_hash"), ["task_id", "block_id"])
+    found = materialise(least_draws(asked, seed, round_), "draws")  # no block sends more rows than its task samples
+    chosen = frames.ranked(found, F.col("u")).where(F.col("_rank") <= F.col("k"))
+    picks = materialise(chosen.groupBy("task_id", "block_id").agg(F.sort_array(F.collect_list("at")).alias("picked")), "picks")
+    discard(found)
+    return rows.join(picks.hint("shuffle_hash"), ["task_id", "block_id"], "left").withColumn("picked", F.coalesce("picked", F.array().cast("array<int>")))
+
+
 def run_round(
     problem: Problem, state: State, relation: Relation, loss: Loss, policy, sigma: np.ndarray, outer: int, round_: int, seed: int = 0,
     gamma: float = 1.0, order: str = "cyclic", profile: DataFrame | None = None, stale: int | None = None, run: str = "fit",
@@ -121,6 +139,8 @@ def run_round(
     rows = attach(problem, state, w, relation.kappa(m), sigma, profile)
     plan = policy.plan(outer, round_, int(problem.points.min()), seed)
     rows = rows.withColumn("dropped", plan.dropped).withColumn("theta", plan.theta).withColumn("budget", plan.budget)
+    if stale is not None:
+        rows = with_picks(problem, rows, stale, seed, round_)
     share = F.expr("CAST((CAST(budget AS BIGINT) * size(ys) + n - 1) div n AS INT)")  # a task's blocks divide its budget, in whole numbers
     rows = rows.withColumn("budget", F.when(F.col("budget") >= NO_LIMIT, F.col("budget")).otherwise(share))
     done = materialise(arrow_pass(rows, loss, order, seed, round_, gamma, stale), "round")
@@ -177,7 +197,8 @@ def update_weights(
     m = len(problem.tasks)
     policy = policy or WorkBudget(passes=1.0)
     state = state or State(np.zeros((m, problem.d)))
-    per_task = relation.sigma(m, sigma, gamma) * problem.blocks
+    parallel = np.ones(m) if stale is not None else problem.blocks  # a mini-batch is stale as a whole, in one block or many
+    per_task = relation.sigma(m, sigma, gamma) * parallel
     history, log, total, counted = [], [], np.zeros_like(state.v), 0
     for h in range(rounds):
         new, entry, rows = run_round(problem, state, relation, loss, policy, per_task, outer, h, seed, gamma, order, profile, stale, run)

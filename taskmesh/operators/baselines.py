@@ -14,7 +14,7 @@ from taskmesh.operators.local import block_arrays, sampled_rows, solve_block
 from taskmesh.operators.losses import Loss
 from taskmesh.operators.policies import FixedAccuracy, WorkBudget
 from taskmesh.operators.relations import IndependentRelation, PooledRelation, Relation
-from taskmesh.operators.solver import FitResult, Problem, State, attach, prepare, update_weights
+from taskmesh.operators.solver import FitResult, Problem, State, attach, prepare, update_weights, with_picks
 from taskmesh.operators.vector_aggregates import vector_sum
 from taskmesh.sources import discard, materialise
 
@@ -70,23 +70,26 @@ def minibatch_sgd(problem: Problem, relation: Relation, loss: Loss, batch: int =
     for h in range(rounds + 1):
         rows = attach(problem, State(np.zeros_like(w)), w, np.ones(m), np.ones(m))
         plan = policy.plan(0, h, int(problem.points.min()), seed)
-        rows = rows.withColumn("budget", plan.budget).withColumn("dropped", plan.dropped)
+        rows = rows.withColumn("budget", F.greatest(F.lit(1), plan.budget)).withColumn("dropped", plan.dropped)
+        rows = with_picks(problem, rows, batch, seed, h)
 
         def step(batches: Iterator[pa.RecordBatch], h: int = h) -> Iterator[pa.RecordBatch]:
             for b in batches:
                 out: list[list] = [[] for _ in range(6)]
-                get = {n: b.column(n).to_pylist() for n in ("task_id", "block_id", "n", "budget", "dropped")}
+                get = {n: b.column(n).to_pylist() for n in ("task_id", "block_id", "n", "budget", "dropped", "picked")}
                 for k, (x, y, model) in enumerate(block_arrays(b)):
                     z = x @ model
-                    some = sampled_rows(len(y), (seed, h, get["task_id"][k], get["block_id"][k]))[: max(1, min(batch * len(y) // get["n"][k] or 1, get["budget"][k], len(y)))]
+                    size = max(1, min(batch, get["budget"][k], get["n"][k]))  # of the whole task, in one block or many
+                    drawn = get["picked"][k]
+                    some = sampled_rows(len(y), (seed, h, get["task_id"][k], get["block_id"][k]))[:size] if drawn is None else np.array(drawn, int)
                     gone = get["dropped"][k]
-                    g = np.zeros(len(model)) if gone else x[some].T @ loss.subgradient(z[some], y[some]) * (len(y) / len(some))
+                    g = np.zeros(len(model)) if gone else x[some].T @ loss.subgradient(z[some], y[some]) * (get["n"][k] / size)
                     for column, value in zip(out, (get["task_id"][k], g, float(np.sum(loss.value(z, y))), 0 if gone else len(some), gone, len(y)), strict=True):
                         column.append(value)
                 kinds = (pa.int64(), pa.list_(pa.float64()), pa.float64(), pa.int32(), pa.bool_(), pa.int32())
                 yield pa.RecordBatch.from_arrays([pa.array(v, k) for v, k in zip(out, kinds, strict=True)], ["task_id", "g", "loss", "sampled", "dropped", "n"])
 
-        stepped = materialise(rows.select("task_id", "block_id", "xs", "ys", "w", "n", "budget", "dropped").mapInArrow(step, schema), "sgd")
+        stepped = materialise(rows.select("task_id", "block_id", "xs", "ys", "w", "n", "budget", "dropped", "picked").mapInArrow(step, schema), "sgd")
         sums = stepped.groupBy("task_id").agg(F.sum("loss").alias("loss"), F.sum("sampled").alias("sampled"), F.max("dropped").alias("dropped"), F.sum("n").alias("n"))
         done = sums.join(vector_sum(stepped, ["task_id"], "g"), "task_id").orderBy("task_id").collect()  # d numbers per task, bounded by DRIVER_CELLS
         discard(stepped)

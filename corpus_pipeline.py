@@ -16,7 +16,8 @@ from taskmesh.llm.mixing import mix
 from taskmesh.llm.packing import pack_documents
 from taskmesh.llm.pii import redact
 from taskmesh.llm.toxicity import filter_toxic
-from taskmesh.sources import load, materialise, ship_package
+from taskmesh.llm.words import release
+from taskmesh.sources import load, materialise, relieve, ship_package
 
 Stage = Callable[[SparkSession, DataFrame, str], DataFrame]
 
@@ -59,4 +60,6 @@ def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = load(spark, sf_dir, "documents")
     for name, stage in STAGES:
         docs = materialise(stage(spark, docs, sf_dir), f"pipeline-{name}")
+        release()  # a stage's learned models and plans are not the next one's load
+        relieve(spark, 0.0)
     return docs

@@ -84,8 +84,13 @@ def laplacian(edges: DataFrame) -> DataFrame:
 def shingles(text, words: int = 8):
     """Distinct word n-grams of a text, as an array of hashes."""
     tokens = F.filter(F.split(F.lower(F.regexp_replace(text, "[^\\p{L}\\p{N}]+", " ")), " "), lambda w: w != "")
-    count = F.size(tokens) - words + 1
-    return F.array_distinct(F.when(count > 0, F.transform(F.sequence(F.lit(0), count - 1), lambda i: F.xxhash64(F.array_join(F.slice(tokens, i + 1, words), " ")))).otherwise(F.array().cast("array<bigint>")))
+
+    def runs(t):
+        at = F.sequence(F.lit(1), F.size(t) - words + 1)
+        return F.when(F.size(t) >= words, F.transform(at, lambda i: F.xxhash64(F.array_join(F.slice(t, i, words), " ")))).otherwise(F.array().cast("array<bigint>"))
+
+    # An array of one list stands for a variable, so a text is split once and not again for each of its runs.
+    return F.array_distinct(F.transform(F.array(tokens), runs)[0])
 
 
 def decontaminate(docs: DataFrame, benchmark: DataFrame, words: int = 8) -> DataFrame:

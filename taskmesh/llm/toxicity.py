@@ -34,8 +34,8 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from taskmesh.llm.words import CACHE_ENTRIES, in_fold, lean, numbered, text_bytes, words
-from taskmesh.sources import load
+from taskmesh.llm.words import CACHE_ENTRIES, in_fold, lean, numbered, release, text_bytes, words
+from taskmesh.sources import load, relieve
 
 BITS = 20
 STRIP = b".,;:!?\"'()[]{}<>*_-"
@@ -169,13 +169,17 @@ def fit(docs: DataFrame, labels: DataFrame, max_positive: int = 4000, max_unlabe
     chosen = spark.createDataFrame(picked, "_id long, positive boolean")
     sample = docs.select("doc_id", "text").join(F.broadcast(chosen), F.col("doc_id") == F.col("_id")).select("positive", "text")
     rows = sample.mapInArrow(lean(_features), "positive boolean, features binary")
-    sets: dict[bool, list[np.ndarray]] = {True: [], False: []}
-    for r in rows.toLocalIterator():  # a partition at a time, and as numbers at once: the sample is the driver's largest load
+    sets: dict[bool, list[bytes]] = {True: [], False: []}
+    for r in rows.toLocalIterator():  # a partition at a time, and as bytes: the sample is the driver's largest load
         if len(r.features):
-            sets[r.positive].append(np.frombuffer(r.features, np.int32))
+            sets[r.positive].append(bytes(r.features))
     for docs_of in sets.values():
-        docs_of.sort(key=lambda d: d.tobytes())
-    return train_nnpu(sets[True], sets[False], prior, seed=seed)
+        docs_of.sort()
+    # The lists are handed over, not kept here, so that training can drop them once it has chosen its features.
+    model = train_nnpu([np.frombuffer(d, np.int32) for d in sets.pop(True)], [np.frombuffer(d, np.int32) for d in sets.pop(False)], prior, seed=seed)
+    release()  # else the sample's memory stays with the driver through all that comes after
+    relieve(spark)
+    return model
 
 
 def score(docs: DataFrame, model: ToxicityModel, column: str = "score") -> DataFrame:
